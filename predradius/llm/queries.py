@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, exact_dedup, language_id, packing, token_counts, toxicity, warc
+from . import chat, exact_dedup, language_id, near_dedup, packing, token_counts, toxicity, warc
 from .common import fold, table
 
 HELD_OUT = fold(F.col("doc_id")) == 2
@@ -34,6 +34,10 @@ def op5_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.read_back(chat.format_conversations(turns))
 
 
+def op6_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dedup.near_duplicate_groups(table(spark, sf_dir, "documents"))
+
+
 def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     made = warc.build_derivatives(warc.responses(table(spark, sf_dir, "pages")))
     return made.select("page_id", "kind", "record_id", "refers_to", F.length("headers").cast("long").alias("header_chars"), F.length("block").cast("long").alias("block_chars"),
@@ -50,4 +54,4 @@ def op9_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packed.select("doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset")
 
 
-QUERIES = {f.__name__: f for f in (op1_token_counts, op2_exact_dedup, op4_toxicity, op5_chat_formatting, op7_warc, op8_language_id, op9_packing)}
+QUERIES = {f.__name__: f for f in (op1_token_counts, op2_exact_dedup, op4_toxicity, op5_chat_formatting, op6_near_dedup, op7_warc, op8_language_id, op9_packing)}
