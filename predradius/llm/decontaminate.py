@@ -97,6 +97,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, width: int = 8, coverage: float
     hits = windows(docs, sorted(widths) or [width], id_col, text_col).join(items, ["width", "hash"])
     # A window of the item may be found in several places: the first place counts.
     first = hits.groupBy(F.col("id").alias("doc_id"), "item_id", "item_windows", "item_pos").agg(F.min(F.struct("pos", "slots", "item_slots")).alias("w"))
+    first = shared_table(first)  # two aggregations follow; the windows are made once
     pair = F.arrays_zip(F.split("w.item_slots", " ").alias("i"), F.split("w.slots", " ").alias("d"))
     first = first.select("doc_id", "item_id", "item_windows", F.when(F.col("w.item_slots") != "", pair).alias("pairs"))
     per_value = first.select("doc_id", "item_id", "item_windows", F.lit(1).alias("window"), F.explode_outer("pairs").alias("p")).withColumns({"of": F.col("p.i"), "to": F.col("p.d")})
