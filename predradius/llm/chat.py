@@ -32,7 +32,7 @@ UNCONTROL = re.compile(r"([<\[])\\(\\*)(\||/?s>|/?INST\]|/?SYS>)")
 
 
 def escape(text: Column) -> Column:
-    return F.regexp_replace(text, CONTROL, r"$1$2\\\\$3")
+    return F.regexp_replace(text, CONTROL, r"$1$2\\$3")
 
 
 def unescape(text: str) -> str:

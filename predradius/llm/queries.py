@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import chat, decontaminate, exact_dedup, language_id, licenses, near_dedup, packing, token_counts, toxicity, warc
 from .common import fold, table
 
-HELD_OUT = fold(F.col("doc_id")) == 2
+def held_out() -> Column:
+    return fold(F.col("doc_id")) == 2
 
 
 def op1_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -26,9 +27,9 @@ def op3_license_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
-    model = toxicity.train(docs, table(spark, sf_dir, "labels"), HELD_OUT)
+    model = toxicity.train(docs, table(spark, sf_dir, "labels"), held_out())
     scored = model.transform(docs)
-    return scored.select("doc_id", HELD_OUT.alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
+    return scored.select("doc_id", held_out().alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
 
 
 def op5_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -49,7 +50,7 @@ def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found = language_id.identify(table(spark, sf_dir, "documents"), HELD_OUT)
+    found = language_id.identify(table(spark, sf_dir, "documents"), held_out())
     return found.select("doc_id", "held_out", "lang_pred", "score")
 
 
