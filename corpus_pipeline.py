@@ -6,12 +6,12 @@ from pyspark.sql import DataFrame, SparkSession
 
 from predradius.llm import decontaminate, exact_dedup, near_dedup, packing, toxicity
 from predradius.llm.common import shared_table, table
-from predradius.llm.queries import HELD_OUT
+from predradius.llm.queries import held_out
 
 
 def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents scored 0.3 or more go."""
-    return toxicity.train(docs, table(spark, sf_dir, "labels"), HELD_OUT).keep_clean(docs, 0.3)
+    return toxicity.train(docs, table(spark, sf_dir, "labels"), held_out()).keep_clean(docs, 0.3)
 
 
 def exact_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
