@@ -20,6 +20,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import shared_table
 from .windows import let, plain_words, window_hashes
 
 # Usual notices of public licences.
@@ -80,7 +81,7 @@ def notices(docs: DataFrame, templates: dict[str, str] | None = None, shingle: i
     every = sorted({v for r in known.select("template_set").collect() for v in r[0]})
     wanted = F.array(*(F.lit(v).cast("long") for v in every)) if every else F.array().cast("array<bigint>")
     words = docs.select(F.col(id_col).cast("long").alias("doc_id"), window_hashes(plain_words(F.col(text_col)), shingle).alias("s"))
-    near = words.filter(F.arrays_overlap("s", wanted))
+    near = shared_table(words.filter(F.arrays_overlap("s", wanted)))  # few documents; every class of templates reads them
     hashes = lambda values, i: F.array_min(F.transform(values, lambda v: F.xxhash64(v, i)))
     bands = lambda values, n: F.transform(F.sequence(F.lit(0), F.lit(n - 1)), lambda i: F.struct(i.alias("band"), hashes(values, i).alias("value")))
     made, keys = [], []
