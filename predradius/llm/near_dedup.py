@@ -9,9 +9,9 @@ at least one of 30 keys of 7 registers with probability 1 - 1e-5. Then:
 2. In every bucket (band, key) each member is paired with the bucket's smallest member only, not with all others.
 3. The joint maximum likelihood of both sketches, given both set sizes, estimates the similarity; pairs far below the threshold
    go no further. The others are confirmed on their full shingle sets.
-4. Confirmed links join representatives into components. In buckets that still hold several components, the pairs
-   across components that the triangle inequality of the Jaccard distance does not rule out are verified as well, so that
-   no link is lost to the pairing of step 2.
+4. Confirmed links join representatives into components. Members of buckets that still hold several components are then met
+   across components by an exact prefix filter on their rarest shingles, estimated and verified as well, so that no link is
+   lost to the pairing of step 2 and no bucket's pairs are enumerated.
 
 Edge cases: null or empty texts and texts without words have an empty set, are linked with nothing and stay; a text with fewer
 words than a shingle has its whole sequence as one shingle; rows without an id are reported but link under null; rows
@@ -159,8 +159,8 @@ def estimated(pairs: DataFrame, reps: DataFrame, percent: int) -> DataFrame:
     return estimate_pairs(both.filter(F.least("n_a", "n_b") * 100 >= F.greatest("n_a", "n_b") * percent))
 
 
-def shingle_sets(docs: DataFrame, wanted: DataFrame, width: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id and full shingle set of the wanted documents."""
+def shingle_sets(docs: DataFrame, wanted: DataFrame, width: int, id_col: str = "doc_id", text_col: str = "text", broadcast_rows: int = 1_000_000) -> DataFrame:
+    """doc_id and full shingle set of the wanted documents (distinct ids). Texts are shuffled only if the ids are too many to broadcast."""
 
     def build(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -171,7 +171,8 @@ def shingle_sets(docs: DataFrame, wanted: DataFrame, width: int, id_col: str = "
                 yield pa.RecordBatch.from_arrays([part.column(0), flat], ["doc_id", "shingles"])
 
     narrow = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).cast("binary").alias("text"))
-    return narrow.join(wanted.select("doc_id").distinct(), "doc_id", "left_semi").mapInArrow(build, SETS).dropDuplicates(["doc_id"])
+    ids = wanted.select("doc_id")
+    return narrow.join(F.broadcast(ids) if ids.limit(broadcast_rows + 1).count() <= broadcast_rows else ids, "doc_id", "left_semi").mapInArrow(build, SETS).dropDuplicates(["doc_id"])
 
 
 def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
@@ -181,6 +182,52 @@ def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return both.select("a", "b", "n_a", "n_b", F.size(F.array_intersect("set_a", "set_b")).cast("long").alias("common"))
 
 
+def shingle_counts(rows: DataFrame, slots: int) -> np.ndarray:
+    """How often shingles fall into each of `slots` slots: an array of fixed size, whatever the rows."""
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = np.zeros(slots, np.int64)
+        for batch in batches:
+            own += np.bincount(batch.column(0).flatten().to_numpy().view(np.uint64) & np.uint64(slots - 1), minlength=slots)
+        at = np.flatnonzero(own)
+        yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(own[at])], ["slot", "n"])
+
+    sums = rows.select("shingles").mapInArrow(count, "slot long, n long").groupBy("slot").agg(F.sum("n").alias("n")).filter("n > 1")
+    found, out = sums.toArrow(), np.ones(slots, np.int64)
+    out[found.column("slot").to_numpy()] = found.column("n").to_numpy()
+    return out
+
+
+def prefix_pairs(loose: DataFrame, sets: DataFrame, percent: int, slots: int = 1 << 20) -> DataFrame:
+    """a < b: all pairs of loose documents (rep, component) of unlike components whose rarest shingles allow the similarity.
+
+    In any order of the shingles, two sets at the threshold share one among the first n - ceil(n * percent / 100) + 1 of each, with
+    enough left behind it on both sides. Rare ones come first here, so documents that merely share common passages do not meet.
+    Of the documents under one shingle, those of its largest component are paired with the others only.
+    """
+    rows = shared_table(loose.join(sets.withColumnRenamed("doc_id", "rep"), "rep"))
+    counts = rows.sparkSession.sparkContext.broadcast(shingle_counts(rows, slots))
+
+    def prefixes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for rep, component, shingles in zip(*(batch.column(i) for i in range(3)), strict=True):
+                own = shingles.values.to_numpy()
+                n = len(own)
+                first = own[np.lexsort((own, counts.value[own.view(np.uint64) & np.uint64(slots - 1)]))][: n - (n * percent + 99) // 100 + 1]
+                same = lambda v: pa.array(np.full(len(first), v, np.int64))  # noqa: B023, E731
+                yield pa.RecordBatch.from_arrays([pa.array(first), same(rep.as_py()), same(component.as_py()), same(n), pa.array(np.arange(len(first)))], ["s", "rep", "component", "n", "pos"])
+
+    each = shared_table(rows.select("rep", "component", "shingles").mapInArrow(prefixes, "s long, rep long, component long, n long, pos long"))
+    sizes = each.groupBy("s", "component").agg(F.count(F.lit(1)).alias("members"))
+    main = sizes.groupBy("s").agg(F.max(F.struct("members", "component")).alias("m"), F.count(F.lit(1)).alias("components")).filter("components > 1").select("s", F.col("m.component").alias("main"))
+    here = shared_table(each.join(main, "s"))
+    x, y = (here.select("s", "main", *(F.col(c).alias(f"{c}_{side}") for c in ("rep", "component", "n", "pos"))) for side in "xy")
+    most = 1 + F.least(F.expr("n_x - 1 - pos_x"), F.expr("n_y - 1 - pos_y"))
+    met = x.filter("component_x != main").join(y.drop("main"), "s").filter(
+        (F.col("component_x") != F.col("component_y")) & ((F.col("component_y") == F.col("main")) | (F.col("rep_x") < F.col("rep_y"))) & (most * 100 >= (F.col("n_x") + F.col("n_y") - most) * percent))
+    return met.select(F.least("rep_x", "rep_y").alias("a"), F.greatest("rep_x", "rep_y").alias("b")).distinct()
+
+
 def linked(percent: int):
     return F.col("common") * 100 >= (F.col("n_a") + F.col("n_b") - F.col("common")) * percent
 
@@ -222,31 +269,20 @@ def near_duplicate_groups(docs: DataFrame, percent: int = 85, width: int = 5, ba
     # 3. Estimate, then confirm.
     known = shared_table(estimated(stars, reps, percent))
     close = known.filter(F.col("estimate") >= percent / 100 - margin)
-    wanted = close.select(F.col("a").alias("doc_id")).union(close.select(F.col("b").alias("doc_id")))
+    wanted = shared_table(close.select(F.col("a").alias("doc_id")).union(close.select(F.col("b").alias("doc_id"))).distinct())
     sets = shared_table(shingle_sets(docs, wanted, width, id_col, text_col))
     exact = shared_table(verified(close, sets))
     links = exact.filter(linked(percent)).select("a", "b")
     groups = components(links)
-    # 4. Pairs across components within a bucket.
-    distance = exact.select(F.col("a").alias("pivot"), F.col("b").alias("rep"), (1 - F.col("common") / (F.col("n_a") + F.col("n_b") - F.col("common"))).alias("distance"))
+    # 4. Pairs across components among the members of buckets that still hold several components.
     here = members.join(groups.withColumnRenamed("node", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
     mixed_buckets = here.groupBy("band", "key").agg(F.min("component").alias("c"), F.max("component").alias("d")).filter("c != d").select("band", "key")
-    left = here.join(mixed_buckets, ["band", "key"]).join(distance, ["pivot", "rep"], "left")
-    reach = 1 - percent / 100
-    # Unknown distances are those beyond the margin; 0 for the pivot itself.
-    left = left.withColumn("distance", F.when(F.col("rep") == F.col("pivot"), 0.0).otherwise(F.coalesce("distance", F.lit(2 * reach + 1e-6))))
-    left = shared_table(left.join(reps.select("rep", "n_shingles"), "rep"))
-    if left.limit(1).count():
-        x, y = (left.select("band", "key", *(F.col(c).alias(f"{c}_{s}") for c in ("rep", "component", "distance", "n_shingles"))) for s in "ab")
-        across = x.join(y, ["band", "key"]).filter(
-            (F.col("rep_a") < F.col("rep_b")) & (F.col("component_a") != F.col("component_b")) & (F.abs(F.col("distance_a") - F.col("distance_b")) <= reach + 1e-6)
-            & (F.least("n_shingles_a", "n_shingles_b") * 100 >= F.greatest("n_shingles_a", "n_shingles_b") * percent))
-        rest = across.select(F.col("rep_a").alias("a"), F.col("rep_b").alias("b")).distinct().join(known.select("a", "b"), ["a", "b"], "left_anti")
+    loose = shared_table(here.join(mixed_buckets, ["band", "key"]).select("rep", "component").distinct())
+    if loose.limit(1).count():
+        missing = shared_table(loose.select(F.col("rep").alias("doc_id")).join(sets.select("doc_id"), "doc_id", "left_anti"))
+        sets = sets.union(shared_table(shingle_sets(docs, missing, width, id_col, text_col)))
+        rest = shared_table(prefix_pairs(loose, sets, percent).join(known.select("a", "b"), ["a", "b"], "left_anti"))
         more = shared_table(estimated(rest, reps, percent).filter(F.col("estimate") >= percent / 100 - margin))
-        wanted = more.select(F.col("a").alias("doc_id")).union(more.select(F.col("b").alias("doc_id"))).distinct()
-        missing = wanted.join(sets.select("doc_id"), "doc_id", "left_anti")
-        if missing.limit(1).count():
-            sets = sets.union(shared_table(shingle_sets(docs, missing, width, id_col, text_col)))
         new = shared_table(verified(more, sets).filter(linked(percent)).select("a", "b"))
         if new.limit(1).count():
             groups = components(links.union(new))
