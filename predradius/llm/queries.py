@@ -44,7 +44,7 @@ def op6_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
-    made = warc.build_derivatives(warc.responses(table(spark, sf_dir, "pages")))
+    made = warc.page_derivatives(table(spark, sf_dir, "pages"))
     return made.select("page_id", "kind", "record_id", "refers_to", F.length("headers").cast("long").alias("header_chars"), F.length("block").cast("long").alias("block_chars"),
                        F.sha2("block", 256).alias("block_sha256"), F.regexp_extract("headers", r"WARC-Source-Payload-Digest: (\S+)", 1).alias("source_digest"))
 

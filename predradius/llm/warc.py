@@ -50,7 +50,7 @@ def header_fields(headers: str) -> dict[str, str]:
 
 def page_text(markup: str) -> str:
     text = TAG.sub("", BREAKS.sub("\n", HIDDEN.sub(" ", markup)))
-    lines = (BLANKS.sub(" ", line).strip() for line in html.unescape(text).split("\n"))
+    lines = (line.strip() for line in BLANKS.sub(" ", html.unescape(text)).split("\n"))
     return "\n".join(line for line in lines if line)
 
 
@@ -111,6 +111,17 @@ def build_derivatives(records: DataFrame) -> DataFrame:
     return records.filter("kind = 'response'").select(*names).mapInArrow(make, RECORD)
 
 
+def page_derivatives(pages: DataFrame, date: str = "2020-01-01T00:00:00Z") -> DataFrame:
+    """build_derivatives(responses(pages)) in one pass, without the responses leaving the worker."""
+
+    def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True)
+            yield record_batch([made for row in rows for made in derivatives(response(*row, date))])
+
+    return pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html")).mapInArrow(make, RECORD)
+
+
 def write_records(records: DataFrame, path: str) -> None:
     """Records as WARC text files, one for each partition."""
     records.select(F.concat("headers", "block", F.lit("\r\n\r\n")).alias("value")).write.option("lineSep", "").text(path)

@@ -195,6 +195,7 @@ def test_warc(spark):
     pages = spark.createDataFrame([(1, "http://a/b", "<html><head><title>T &amp; U</title></head><body><p>x</p><script>no</script><a href='/l'>y</a></body></html>"), (2, None, None)], "page_id long, url string, html string")
     sources = warc.responses(pages)
     made = warc.build_derivatives(sources).collect()
+    assert sorted(made, key=lambda r: r["record_id"]) == sorted(warc.page_derivatives(pages).collect(), key=lambda r: r["record_id"])
     ids = {r["page_id"]: r["record_id"] for r in sources.collect()}
     assert len(made) == 4 and all(r["refers_to"] == ids[r["page_id"]] and f"WARC-Refers-To: {ids[r['page_id']]}" in r["headers"] for r in made)
     text = next(r["block"] for r in made if (r["page_id"], r["kind"]) == (1, "conversion"))
