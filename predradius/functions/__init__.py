@@ -21,10 +21,10 @@ def dot(a: str, b: str, zero: str = "0") -> Column:
     return F.expr(f"aggregate(zip_with({a}, {b}, (x, y) -> x * y), {zero}, (s, x) -> s + x)")
 
 
-def cosine_distance(a: str, norm_a: str, b: str, norm_b: str) -> Column:
+def cosine_distance(a: str, norm_a: str, b: str, norm_b: str, zero: str = "0") -> Column:
     """1 - cosine; 1 where a vector is zero."""
     norms = F.sqrt(F.col(norm_a).cast("double") * F.col(norm_b).cast("double"))
-    return F.when(norms > 0, 1 - dot(a, b) / F.nullif(norms, F.lit(0.0))).otherwise(1.0)
+    return F.when(norms > 0, 1 - dot(a, b, zero) / F.nullif(norms, F.lit(0.0))).otherwise(1.0)
 
 
 def holds(toks: str = "toks") -> Column:
