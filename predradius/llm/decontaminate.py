@@ -5,7 +5,9 @@ word list), so a question whose values were changed keeps its template. Windows
 meet the windows of the benchmark in a hash join; the benchmark side is broadcast only if its counted windows stay under
 a bound, else both sides shuffle by hash, where a window that many documents share is pre-aggregated per document. For each
 document and item the slots are compared: every value of the item must always map to the same value of the document.
-A pair counts as a leak if at least `coverage` of the item's windows are found, or `run` of them, and the slots agree.
+This is asked of each placement by itself (the windows found at one offset between item and document), of the windows whose
+values equal the item's, and of the first places; placements that agree with each other are joined. A pair counts as a
+leak if one of them, with the windows without values, holds at least `coverage` of the item's windows, or `run` of them.
 
 Edge cases: null or empty texts have no windows; an item shorter than a window is matched as a whole by windows of its own
 length; items without words are skipped; rows without an id are reported under null; repeated rows count once; an empty
@@ -95,24 +97,62 @@ def leaks(docs: DataFrame, benchmark: DataFrame, width: int = 8, coverage: float
     widths = {r["width"]: r["count"] for r in items.groupBy("width").count().collect()}
     items = F.broadcast(items) if sum(widths.values()) <= broadcast_rows else items
     hits = windows(docs, sorted(widths) or [width], id_col, text_col).join(items, ["width", "hash"])
-    # A window of the item may be found in several places: the first place counts.
-    first = hits.groupBy(F.col("id").alias("doc_id"), "item_id", "item_windows", "item_pos").agg(F.min(F.struct("pos", "slots", "item_slots")).alias("w"))
-    first = shared_table(first)  # two aggregations follow; the windows are made once
-    pair = F.arrays_zip(F.split("w.item_slots", " ").alias("i"), F.split("w.slots", " ").alias("d"))
-    first = first.select("doc_id", "item_id", "item_windows", F.when(F.col("w.item_slots") != "", pair).alias("pairs"))
-    per_value = first.select("doc_id", "item_id", "item_windows", F.lit(1).alias("window"), F.explode_outer("pairs").alias("p")).withColumns({"of": F.col("p.i"), "to": F.col("p.d")})
-    matched = first.groupBy("doc_id", "item_id", "item_windows").agg(F.count(F.lit(1)).alias("matched_windows"))
-    values = per_value.filter("of is not null").groupBy("doc_id", "item_id", "of").agg(F.min("to").alias("lo"), F.max("to").alias("hi"))
-    slots = values.groupBy("doc_id", "item_id").agg(
-        F.count(F.lit(1)).alias("n_slots"), F.sum((F.col("hi") != F.col("of")).cast("long")).alias("changed_slots"), F.sum((F.col("lo") != F.col("hi")).cast("long")).alias("torn_slots"))
-    out = matched.join(slots.select(F.col("doc_id").alias("d"), F.col("item_id").alias("i"), "n_slots", "changed_slots", "torn_slots"),
-                       F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("item_id") == F.col("i")), "left").na.fill(0, ["n_slots", "changed_slots", "torn_slots"])
-    share = F.col("matched_windows") / F.col("item_windows")
-    kept = out.filter(((share >= coverage) | (F.col("matched_windows") >= run)) & (F.col("torn_slots") == 0))
-    return kept.select("doc_id", "item_id", "item_windows", "matched_windows", share.alias("coverage"), "n_slots", "changed_slots",
+    pair, enough = ["doc_id", "item_id", "item_windows"], (F.col("matched_windows") >= coverage * F.col("item_windows")) | (F.col("matched_windows") >= run)
+    # Windows without values agree with every placement; the others belong to the placement of their offset.
+    offset = F.when(F.col("item_slots") != "", F.col("pos") - F.col("item_pos"))
+    placed = hits.select(F.col("id").alias("doc_id"), *pair[1:], offset.alias("offset"), F.struct("item_pos", "item_slots", "slots").alias("w"))
+    placed = shared_table(placed.groupBy(*pair, "offset").agg(F.collect_set("w").alias("w")))  # several aggregations follow; the windows are made once
+    each = placed.select(*pair, "offset", F.explode("w").alias("w")).select(*pair, "w.item_pos", F.struct("offset", "w").alias("at"), (F.col("w.item_slots") == F.col("w.slots")).alias("same"))
+    found = each.groupBy(*pair, "item_pos").agg(F.min("at").alias("first"), F.min(F.when(F.col("same"), F.col("at"))).alias("equal"))
+    found = found.groupBy(*pair).agg(F.count(F.lit(1)).alias("matched_windows"), F.collect_list("first.w").alias("first"), F.collect_list("equal.w").alias("equal"))
+    found = shared_table(found.filter(enough).drop("matched_windows"))
+    # The windows whose values equal the item's, the first places, and the places of each offset.
+    free = lambda w: F.filter(w, lambda x: x["item_slots"] == "")
+    slotted = lambda w: F.filter(w, lambda x: x["item_slots"] != "")
+    n_free = found.select(*pair, F.size(free(F.col("first"))).alias("n_free"))
+    mine = [F.col(c).alias(f"of_{c}") for c in pair]
+    same_pair = F.col("doc_id").eqNullSafe(F.col("of_doc_id")) & (F.col("item_id") == F.col("of_item_id"))
+    by_offset = placed.filter("offset is not null").select(*pair, "w").join(n_free.select(*mine, "n_free"), same_pair).select(*pair, "n_free", "w")
+    by_pair = found.select(*pair, F.size(free(F.col("first"))).alias("n_free"), F.explode(F.array(slotted(F.col("first")), slotted(F.col("equal")))).alias("w"))
+    choices = by_pair.union(by_offset).select(*pair, "n_free", F.sort_array(F.array_distinct(F.transform("w", lambda x: x["item_pos"]))).alias("positions"), values_of(F.col("w")).alias("values"))
+    choices = shared_table(choices.filter(agree(F.col("values"))).distinct())
+    single = best(choices, pair).filter(enough)
+    # Text put into a passage parts it into several offsets: placements that agree are joined, from each of them in turn.
+    rest = choices.join(single.select(*mine), same_pair, "left_anti").groupBy(*pair, "n_free").agg(F.sort_array(F.collect_set(F.struct(F.size("positions").alias("n"), "positions", "values")), asc=False).alias("all"))
+    rest = rest.filter(F.size("all") > 1).select(*pair, "n_free", F.explode(F.transform("all", lambda seed: joined(seed, F.col("all")))).alias("c")).select(*pair, "n_free", "c.positions", "c.values")
+    kept = single.union(best(rest, pair).filter(enough))
+    return kept.select("doc_id", "item_id", "item_windows", "matched_windows", (F.col("matched_windows") / F.col("item_windows")).alias("coverage"), "n_slots", "changed_slots",
                        F.when(F.col("changed_slots") > 0, "reparameterised").otherwise("verbatim").alias("kind"))
 
 
+def values_of(found: Column) -> Column:
+    """The distinct 'value of the item, value of the document' of windows (item_slots, slots)."""
+    of = lambda x: F.zip_with(F.split(x["item_slots"], " "), F.split(x["slots"], " "), lambda i, d: F.concat(i, F.lit(" "), d))
+    return F.sort_array(F.array_distinct(F.flatten(F.transform(found, of))))
+
+
+def agree(values: Column) -> Column:
+    """Whether every value of the item has one value of the document."""
+    return F.size(F.array_distinct(F.transform(values, lambda v: F.substring_index(v, " ", 1)))) == F.size(values)
+
+
+def joined(seed: Column, others: Column) -> Column:
+    """The seed (positions, values) with all others that agree with what is joined so far."""
+    def step(a: Column, x: Column) -> Column:
+        both = F.array_union(a["values"], x["values"])
+        return F.when(agree(both), F.struct(F.array_union(a["positions"], x["positions"]).alias("positions"), both.alias("values"))).otherwise(a)
+
+    return F.aggregate(others, F.struct(seed["positions"].alias("positions"), seed["values"].alias("values")), step)
+
+
+def best(choices: DataFrame, pair: list[str]) -> DataFrame:
+    """The choice of most windows for each document and item; of equally many, the one that changes the fewest values."""
+    changed = F.size(F.filter("values", lambda v: F.substring_index(v, " ", 1) != F.substring_index(v, " ", -1)))
+    rated = F.struct((F.col("n_free") + F.size("positions")).cast("long").alias("n"), (-changed).cast("long").alias("kept"), F.size("values").cast("long").alias("n_slots"))
+    top = choices.groupBy(*pair).agg(F.max(rated).alias("b"))
+    return top.select(*pair, F.col("b.n").alias("matched_windows"), F.col("b.n_slots").alias("n_slots"), (-F.col("b.kept")).alias("changed_slots"))
+
+
 def drop_leaks(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
     """The documents without a leak, with their columns. Rows without an id stay."""
     id_col = options.get("id_col", "doc_id")

@@ -214,6 +214,24 @@ def test_decontamination(spark, sf_dir, odd, none):
     assert decontaminate.drop_leaks(docs, bench).select("doc_id").collect()[0][0] == 3
 
 
+def test_decontamination_checks_every_placement(spark):
+    series = "write the numbers 3 1 4 15 9 2 6 5 35 8 in a row and then read them back to the class aloud please"
+    shop = "the shop sold {} red apples and {} green pears to its guests and "
+    item = shop.format(12, 7) + shop.format(15, 9) + "then it closed"
+    bench = spark.createDataFrame([(1, series), (2, item)], "item_id long, text string")
+    docs = spark.createDataFrame([
+        (1, series), (2, item), (3, shop.format(99, 98) + "so on. " + item), (4, shop.format(1, 2) + shop.format(3, 4) + "then it closed"),
+        (5, "the shop sold 8 red apples and 6 green pears to its very kind guests and the shop sold 5 red apples and 4 green pears to its guests and then it closed"),
+        (6, series.replace("15 9 2", "15 9 2 77"))], "doc_id long, text string")
+    got = {(r["doc_id"], r["item_id"]): r for r in decontaminate.leaks(docs, bench).collect()}
+    want = {(1, 1): "verbatim", (2, 2): "verbatim", (3, 2): "verbatim", (4, 2): "reparameterised", (5, 2): "reparameterised"}
+    assert {k: got[k]["kind"] for k in want} == want
+    assert got[1, 1]["coverage"] == got[2, 2]["coverage"] == got[3, 2]["coverage"] == got[4, 2]["coverage"] == 1
+    torn = spark.createDataFrame([(1, "a man paid 5 coins and his friend also paid 6 coins to the old man")], "doc_id long, text string")
+    same = spark.createDataFrame([(1, "a man paid 9 coins and his friend also paid 9 coins to the old man")], "item_id long, text string")
+    assert decontaminate.leaks(torn, same).count() == 0
+
+
 def test_decontamination_finds_every_passage(spark):
     d = "/root/testdata/sf0.01"
     docs, bench = ([tuple(r) for r in spark.read.parquet(f"{d}/{t}.parquet").select(k, "text").collect()] for t, k in (("documents", "doc_id"), ("benchmark", "item_id")))
