@@ -8,7 +8,8 @@ retrieved template is then verified by the exact share of its word shingles that
 A band agrees only if the window holds the template's minimal shingle, so windows that hold no shingle of any template
 are passed over before their bands are computed; nothing is lost by that.
 
-Edge cases: null, empty and short texts have no shingles and no notice; templates must have at least `shingle` words; rows that repeat an id
+Edge cases: null, empty and short texts have no shingles and no notice; a template of fewer than
+`shingle` words has its whole word sequence as one shingle and is met in windows of that many words, one without words is an error; rows that repeat an id
 are reported once; rows without an id are reported under null; an empty table gives no notices. Texts are read whole.
 """
 
@@ -37,26 +38,29 @@ TEMPLATES = {
     "CC BY-NC short": "Licensed under CC BY-NC 4.0.",
     "CC BY": "This work is licensed under a Creative Commons Attribution 4.0 International License.",
     "CC BY-SA": "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License.",
+    "All rights short": "All rights reserved.",
     "All rights": "All rights reserved. No part of this publication may be reproduced",
 }
 
 
 def classes(templates: dict[str, str], shingle: int, containment: float, miss: float) -> list[dict]:
-    """Per class of template lengths: names, window width in words, stride, and bands."""
+    """Per class of template lengths: names, words of a shingle, window width in words, stride, and bands."""
     import re
 
     lengths = {name: len(re.findall(r"[^\W_]+", text)) for name, text in templates.items()}
-    found: dict[int, list[str]] = {}
+    if empty := [name for name, n in lengths.items() if not n]:
+        raise ValueError(f"templates without words: {empty}")
+    found: dict[tuple[int, int], list[str]] = {}
     for name, n in lengths.items():
-        if n >= shingle:
-            found.setdefault(math.ceil(math.log(n / shingle, 1.5)) if n > shingle else 0, []).append(name)
+        k = min(n, shingle)
+        found.setdefault((k, math.ceil(math.log(n / k, 1.5))), []).append(name)
     out = []
-    for names in found.values():
+    for (k, _), names in found.items():
         longest, shortest = max(lengths[x] for x in names), min(lengths[x] for x in names)
         width = max(longest + 2, math.ceil(1.5 * longest))
-        t, w = shortest - shingle + 1, width - shingle + 1
+        t, w = shortest - k + 1, width - k + 1
         lowest = containment * t / (w + t - containment * t)
-        out.append({"names": names, "width": width, "stride": width - longest + 1, "bands": math.ceil(math.log(miss) / math.log(1 - lowest))})
+        out.append({"names": names, "shingle": k, "width": width, "stride": width - longest + 1, "bands": math.ceil(math.log(miss) / math.log(1 - lowest))})
     return out
 
 
@@ -75,19 +79,26 @@ def notices(docs: DataFrame, templates: dict[str, str] | None = None, shingle: i
     spark = docs.sparkSession
     templates = TEMPLATES if templates is None else templates
     plans = classes(templates, shingle, containment, miss)
-    known = spark.createDataFrame([(k, name, templates[name]) for k, p in enumerate(plans) for name in p["names"]], "class int, template string, t string")
-    known = known.select("class", "template", F.array_distinct(window_hashes(plain_words(F.col("t")), shingle)).alias("template_set"))
+    sizes = sorted({p["shingle"] for p in plans}) or [shingle]
+    known = spark.createDataFrame([(k, name, templates[name], p["shingle"]) for k, p in enumerate(plans) for name in p["names"]], "class int, template string, t string, shingle int")
+    of_size = reduce(lambda rest, n: F.when(F.col("shingle") == n, window_hashes(plain_words(F.col("t")), n)).otherwise(rest), sizes, F.array().cast("array<bigint>"))
+    known = known.select("class", "template", "shingle", F.array_distinct(of_size).alias("template_set"))
     # As many values as the templates have shingles, whatever the documents.
-    every = sorted({v for r in known.select("template_set").collect() for v in r[0]})
-    wanted = F.array(*(F.lit(v).cast("long") for v in every)) if every else F.array().cast("array<bigint>")
-    words = docs.select(F.col(id_col).cast("long").alias("doc_id"), window_hashes(plain_words(F.col(text_col)), shingle).alias("s"))
-    near = shared_table(words.filter(F.arrays_overlap("s", wanted)))  # few documents; every class of templates reads them
+    every = {n: set() for n in sizes}
+    for r in known.select("shingle", "template_set").collect():
+        every[r[0]].update(r[1])
+    wanted = {n: F.array(*(F.lit(v).cast("long") for v in sorted(own))) if own else F.array().cast("array<bigint>") for n, own in every.items()}
+    shingles = let(plain_words(F.col(text_col)), lambda own: F.struct(*(window_hashes(own, n).alias(f"s{n}") for n in sizes)))
+    words = docs.select(F.col(id_col).cast("long").alias("doc_id"), shingles.alias("s")).select("doc_id", "s.*")
+    # Few documents; every class of templates reads them.
+    near = shared_table(words.filter(reduce(Column.__or__, (F.arrays_overlap(f"s{n}", wanted[n]) for n in sizes))))
     hashes = lambda values, i: F.array_min(F.transform(values, lambda v: F.xxhash64(v, i)))
     bands = lambda values, n: F.transform(F.sequence(F.lit(0), F.lit(n - 1)), lambda i: F.struct(i.alias("band"), hashes(values, i).alias("value")))
     made, keys = [], []
     for k, p in enumerate(plans):
-        cut = overlapping(F.col("s"), p["width"] - shingle + 1, p["stride"])
-        own = near.select("doc_id", F.explode(F.filter(cut, lambda w: F.arrays_overlap(w["window_set"], wanted))).alias("w"))
+        n = p["shingle"]
+        cut = overlapping(F.col(f"s{n}"), p["width"] - n + 1, p["stride"])
+        own = near.select("doc_id", F.explode(F.filter(cut, lambda w: F.arrays_overlap(w["window_set"], wanted[n]))).alias("w"))  # noqa: B023
         made.append(own.select("doc_id", F.lit(k).alias("class"), "w.first_word", "w.window_set", F.explode(bands(F.col("w.window_set"), p["bands"])).alias("b")))
         keys.append(known.filter(F.col("class") == k).select("class", "template", "template_set", F.explode(bands(F.col("template_set"), p["bands"])).alias("b")))
     retrieved = reduce(DataFrame.union, made).join(F.broadcast(reduce(DataFrame.union, keys)), ["class", "b"])

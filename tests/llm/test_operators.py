@@ -245,3 +245,12 @@ def test_licenses(spark, odd, none):
     got = {(r["doc_id"], r["template"]) for r in licenses.notices(docs).collect()}
     assert got == {(1, "GPL header"), (2, "MIT short")}
     assert licenses.notices(odd).count() == 0 and licenses.notices(none).count() == 0
+
+
+def test_licenses_short_templates(spark):
+    docs = spark.createDataFrame([(1, "word " * 90 + "end.\nAll rights reserved."), (2, "ALL RIGHTS RESERVED"), (3, "all the rights are reserved"), (4, "x " * 7 + "all rights reserved " + "y " * 7), (5, "Copyleft")], "doc_id long, text string")
+    assert {(r["doc_id"], r["template"]) for r in licenses.notices(docs).collect()} == {(1, "All rights short"), (2, "All rights short"), (4, "All rights short")}
+    own = {"a": "All rights reserved", "b": "copyleft", "c": "word word word word word"}
+    assert {(r["doc_id"], r["template"]) for r in licenses.notices(docs, own).collect()} == {(1, "a"), (1, "c"), (2, "a"), (4, "a"), (5, "b")}
+    with pytest.raises(ValueError):
+        licenses.notices(docs, {"none": "..."})
