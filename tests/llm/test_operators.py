@@ -254,3 +254,17 @@ def test_licenses_short_templates(spark):
     assert {(r["doc_id"], r["template"]) for r in licenses.notices(docs, own).collect()} == {(1, "a"), (1, "c"), (2, "a"), (4, "a"), (5, "b")}
     with pytest.raises(ValueError):
         licenses.notices(docs, {"none": "..."})
+
+
+def test_pipeline_drops_near_copies_from_080(spark, sf_dir):
+    import corpus_pipeline
+
+    made = []
+    for i in range(20):  # pairs at 176 of 216 shingles, 0.815, and at 166 of 226, 0.735
+        words = [f"w{i}x{k}" for k in range(200)]
+        for j, n in ((100, 20), (200, 30)):
+            own = [f"{w}y{j}" for w in words]
+            made += [(j + i, " ".join(own)), (1000 + j + i, " ".join([f"z{i}x{k}y{j}" for k in range(n)] + own[n:]))]
+    docs = spark.createDataFrame(made, "doc_id long, text string")
+    kept = {r["doc_id"] for r in corpus_pipeline.near_dedup_stage(spark, docs, sf_dir).collect()}
+    assert kept == {i for i, _ in made if not 1100 <= i < 1200}
