@@ -1,7 +1,8 @@
 """Benchmark decontamination by canonical templates, in SQL functions only.
 
 Numbers, units and names become typed placeholders (a marker character; the value stays beside it in a second, aligned
-word list), so a question whose values were changed keeps its template. Windows of the canonical words of all documents
+word list), so a question whose values were changed keeps its template. A capitalised word that may merely start a sentence (at the start of a text, sentence or line, after a quote,
+bracket or digit) is read in both ways, as a plain word and as a name, in documents and items. Windows of the canonical words of all documents
 meet the windows of the benchmark in a hash join; the benchmark side is broadcast only if its counted windows stay under
 a bound, else both sides shuffle by hash, where a window that many documents share is pre-aggregated per document. For each
 document and item the slots are compared: every value of the item must always map to the same value of the document.
@@ -24,8 +25,8 @@ from pyspark.sql import functions as F
 from .common import shared_table
 from .windows import let, starts
 
-NUMBER, UNIT, NAME = "", "", ""
-MARKS = f"[{NUMBER}-{NAME}]"
+NUMBER, UNIT, NAME, INITIAL = "", "", "", ""
+MARKS = f"[{NUMBER}-{INITIAL}]"
 # Units that may follow a number.
 UNITS = ("km", "m", "cm", "mm", "mi", "miles", "mile", "ft", "feet", "inches", "inch", "kg", "g", "mg", "lb", "lbs", "tons", "ton", "l", "ml", "s", "sec", "seconds", "second", "min", "minutes",
          "minute", "h", "hours", "hour", "days", "day", "weeks", "week", "months", "month", "years", "year", "dollars", "dollar", "euros", "euro", "cents", "percent", "degrees", "mph", "kmh", "kwh",
@@ -36,36 +37,45 @@ def valued_text(text: Column) -> Column:
     """Words parted by single blanks; placeholders are a marker followed by the value."""
     t = F.regexp_replace(F.coalesce(text, F.lit("")), MARKS, " ")
     t = F.regexp_replace(t, r"(?<=[\p{L},;:] )(\p{Lu}\p{Ll}+)(?!\p{L})", NAME + "$1")
+    t = F.regexp_replace(t, rf"(?<![\p{{L}}\p{{N}}_{NAME}])(\p{{Lu}}\p{{Ll}}+)(?!\p{{L}})", INITIAL + "$1")
     t = F.lower(t)
     digits = t.rlike(r"\d")
     n = F.regexp_replace(t, r"(?<=\d)[.,:/](?=\d)", "_")
     n = F.regexp_replace(n, rf"(?<![\p{{L}}\d_])(\d[\d_]*) ?({'|'.join(sorted(UNITS, key=len, reverse=True))})(?!\p{{L}})", f" {NUMBER}$1 {UNIT}$2 ")
     n = F.regexp_replace(n, r"(?<![\p{L}\d_" + NUMBER + r"])(\d[\d_]*)", f" {NUMBER}$1 ")
     t = F.when(digits, n).otherwise(t)
-    return F.trim(F.regexp_replace(t, rf"[^\p{{L}}\p{{N}}_{NUMBER}-{NAME}]+", " "))
+    return F.trim(F.regexp_replace(t, rf"[^\p{{L}}\p{{N}}_{NUMBER}-{INITIAL}]+", " "))
 
 
 def parsed(valued: Column) -> Column:
-    """valued words, canonical words (placeholders are their marker alone), and whether there are placeholders."""
+    """Per word, read with a sentence-initial capital as a plain word and as a name: hash of the canonical word, and value of a placeholder (else null)."""
     def build(v: Column) -> Column:
-        words, slotted = F.filter(F.split(v, " "), lambda w: w != ""), v.rlike(MARKS)
-        canon = F.when(slotted, F.transform(words, lambda w: F.regexp_replace(w, rf"^({MARKS}).*", "$1"))).otherwise(words)
-        return F.struct(words.alias("valued"), canon.alias("canon"), slotted.alias("slotted"))
+        words = F.filter(F.split(v, " "), lambda w: w != "")
+        word_hash = lambda w: F.xxhash64(F.when(w.rlike("^" + MARKS), F.substring(w, 1, 1)).otherwise(w))
+        value = lambda w: F.when(w.rlike("^" + MARKS), w)
+        plain, named = (F.transform(words, lambda w: F.regexp_replace(w, "^" + INITIAL, to)) for to in ("", NAME))  # noqa: B023
+        plain, named = F.when(v.contains(INITIAL), plain).otherwise(words), F.when(v.contains(INITIAL), named).otherwise(words)
+        return let(F.struct(plain.alias("plain"), named.alias("named")), lambda r: F.struct(
+            F.transform(r["plain"], word_hash).alias("plain"), F.transform(r["plain"], value).alias("plain_value"), F.transform(r["named"], word_hash).alias("named"), F.transform(r["named"], value).alias("named_value")))
 
     return let(valued, build)
 
 
 def windows_of(row: Column, width: int) -> Column:
-    """pos, hash, slots (values of the placeholders inside, in order) of each window of a parsed text."""
-    def one(i: Column) -> Column:
-        own = F.filter(F.slice(row["valued"], i + 1, width), lambda w: w.rlike("^" + MARKS))
-        return F.struct(i.alias("pos"), F.xxhash64(F.slice(row["canon"], i + 1, width)).alias("hash"), F.when(row["slotted"], F.array_join(own, " ")).otherwise(F.lit("")).alias("slots"))
+    """pos, reading, hash, slots (values of the placeholders inside, in order) of each window of a parsed text.
 
-    return F.transform(starts(F.size(row["canon"]), width), one)
+    reading: 'both' if no sentence-initial capital is inside; else one window for each reading of it, 'plain' and 'named'.
+    """
+    part = lambda c, i: F.slice(row[c], i + 1, width)
+    differ = lambda i: part("plain", i) != part("named", i)
+    made = lambda i, c, reading: F.struct(i.alias("pos"), reading.alias("reading"), F.xxhash64(part(c, i)).alias("hash"), F.array_join(part(f"{c}_value", i), " ").alias("slots"))
+    at = starts(F.size(row["plain"]), width)
+    plain = F.transform(at, lambda i: made(i, "plain", F.when(differ(i), F.lit("plain")).otherwise(F.lit("both"))))
+    return F.concat(plain, F.transform(F.filter(at, differ), lambda i: made(i, "named", F.lit("named"))))
 
 
 def windows(rows: DataFrame, widths: list[int], id_col: str, text_col: str) -> DataFrame:
-    """id, width, pos, hash, slots of all windows of the given widths; each text is parsed once."""
+    """id, width, pos, reading, hash, slots of all windows of the given widths; each text is parsed once."""
     def every(row: Column) -> Column:
         return F.array(*(F.struct(F.lit(w).alias("width"), windows_of(row, w).alias("w")) for w in widths))
 
@@ -75,18 +85,18 @@ def windows(rows: DataFrame, widths: list[int], id_col: str, text_col: str) -> D
     else:
         by_width = parts.select("id", F.explode(let(parsed(F.col("v")), every)).alias("x"))
         found = by_width.select("id", "x.width", F.explode("x.w").alias("w"))
-    return found.select("id", "width", "w.pos", "w.hash", "w.slots")
+    return found.select("id", "width", "w.pos", "w.reading", "w.hash", "w.slots")
 
 
 def benchmark_windows(benchmark: DataFrame, width: int, id_col: str, text_col: str) -> DataFrame:
-    """item_id, width, item_pos, hash, item_slots, item_windows; an item shorter than `width` is one window of its own width."""
-    sized = benchmark.select(F.col(id_col).alias("id"), F.col(text_col).alias("t"), F.size(parsed(valued_text(F.col(text_col)))["canon"]).alias("n"))
+    """item_id, width, item_pos, reading, hash, item_slots, item_windows; an item shorter than `width` is one window of its own width."""
+    sized = benchmark.select(F.col(id_col).alias("id"), F.col(text_col).alias("t"), F.size(parsed(valued_text(F.col(text_col)))["plain"]).alias("n"))
     sized = shared_table(sized.filter("n > 0"))
     lengths = sorted(r["w"] for r in sized.select(F.least("n", F.lit(width)).alias("w")).distinct().collect())
     made = [windows(sized.filter(F.least("n", F.lit(width)) == w), [w], "id", "t") for w in lengths or [width]]
-    rows = reduce(DataFrame.union, made).select(F.col("id").alias("item_id"), "width", F.col("pos").alias("item_pos"), "hash", F.col("slots").alias("item_slots"))
-    rows = rows.dropDuplicates(["item_id", "width", "item_pos"])
-    totals = rows.groupBy("item_id").agg(F.count(F.lit(1)).alias("item_windows"))
+    rows = reduce(DataFrame.union, made).select(F.col("id").alias("item_id"), "width", F.col("pos").alias("item_pos"), "reading", "hash", F.col("slots").alias("item_slots"))
+    rows = rows.dropDuplicates(["item_id", "width", "item_pos", "reading"])
+    totals = rows.groupBy("item_id").agg(F.countDistinct("item_pos").alias("item_windows"))
     return shared_table(rows.join(totals, "item_id"))
 
 
@@ -96,25 +106,26 @@ def leaks(docs: DataFrame, benchmark: DataFrame, width: int = 8, coverage: float
     items = benchmark_windows(benchmark, width, item_id, item_text)
     widths = {r["width"]: r["count"] for r in items.groupBy("width").count().collect()}
     items = F.broadcast(items) if sum(widths.values()) <= broadcast_rows else items
-    hits = windows(docs, sorted(widths) or [width], id_col, text_col).join(items, ["width", "hash"])
+    hits = windows(docs, sorted(widths) or [width], id_col, text_col).drop("reading").join(items, ["width", "hash"])
     pair, enough = ["doc_id", "item_id", "item_windows"], (F.col("matched_windows") >= coverage * F.col("item_windows")) | (F.col("matched_windows") >= run)
     # Windows without values agree with every placement; the others belong to the placement of their offset.
     offset = F.when(F.col("item_slots") != "", F.col("pos") - F.col("item_pos"))
-    placed = hits.select(F.col("id").alias("doc_id"), *pair[1:], offset.alias("offset"), F.struct("item_pos", "item_slots", "slots").alias("w"))
+    placed = hits.select(F.col("id").alias("doc_id"), *pair[1:], offset.alias("offset"), F.struct("item_pos", "item_slots", "slots", "reading").alias("w"))
     placed = shared_table(placed.groupBy(*pair, "offset").agg(F.collect_set("w").alias("w")))  # several aggregations follow; the windows are made once
     each = placed.select(*pair, "offset", F.explode("w").alias("w")).select(*pair, "w.item_pos", F.struct("offset", "w").alias("at"), (F.col("w.item_slots") == F.col("w.slots")).alias("same"))
-    found = each.groupBy(*pair, "item_pos").agg(F.min("at").alias("first"), F.min(F.when(F.col("same"), F.col("at"))).alias("equal"))
+    found = each.groupBy(*pair, "item_pos").agg(F.min(F.when(F.col("at.w.reading") != "named", F.col("at"))).alias("first"), F.min(F.when(F.col("same"), F.col("at"))).alias("equal"))
     found = found.groupBy(*pair).agg(F.count(F.lit(1)).alias("matched_windows"), F.collect_list("first.w").alias("first"), F.collect_list("equal.w").alias("equal"))
     found = shared_table(found.filter(enough).drop("matched_windows"))
-    # The windows whose values equal the item's, the first places, and the places of each offset.
-    free = lambda w: F.filter(w, lambda x: x["item_slots"] == "")
-    slotted = lambda w: F.filter(w, lambda x: x["item_slots"] != "")
-    n_free = found.select(*pair, F.size(free(F.col("first"))).alias("n_free"))
+    # The windows whose values equal the item's, the first places, and the places of each offset by each reading.
+    free = lambda w, other: F.size(F.filter(w, lambda x: (x["item_slots"] == "") & (x["reading"] != other)))
+    slotted = lambda w, other: F.filter(w, lambda x: (x["item_slots"] != "") & (x["reading"] != other))
     mine = [F.col(c).alias(f"of_{c}") for c in pair]
     same_pair = F.col("doc_id").eqNullSafe(F.col("of_doc_id")) & (F.col("item_id") == F.col("of_item_id"))
-    by_offset = placed.filter("offset is not null").select(*pair, "w").join(n_free.select(*mine, "n_free"), same_pair).select(*pair, "n_free", "w")
-    by_pair = found.select(*pair, F.size(free(F.col("first"))).alias("n_free"), F.explode(F.array(slotted(F.col("first")), slotted(F.col("equal")))).alias("w"))
-    choices = by_pair.union(by_offset).select(*pair, "n_free", F.sort_array(F.array_distinct(F.transform("w", lambda x: x["item_pos"]))).alias("positions"), values_of(F.col("w")).alias("values"))
+    reading = lambda w: F.explode(F.array(*(F.struct(free(F.col("first"), other).alias("n_free"), slotted(w, other).alias("w")) for other in ("named", "plain")))).alias("c")
+    by_offset = placed.filter("offset is not null").select(*pair, "w").join(found.select(*mine, "first"), same_pair).select(*pair, reading(F.col("w")))
+    by_pair = found.select(*pair, F.explode(F.array(*(F.struct(free(F.col(c), other).alias("n_free"), slotted(F.col(c), other).alias("w")) for c, other in (("first", "named"), ("equal", "none"))))).alias("c"))
+    each = by_pair.union(by_offset).select(*pair, "c.n_free", "c.w")
+    choices = each.select(*pair, "n_free", F.sort_array(F.array_distinct(F.transform("w", lambda x: x["item_pos"]))).alias("positions"), values_of(F.col("w")).alias("values"))
     choices = shared_table(choices.filter(agree(F.col("values"))).distinct())
     single = best(choices, pair).filter(enough)
     # Text put into a passage parts it into several offsets: placements that agree are joined, from each of them in turn.

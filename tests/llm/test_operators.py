@@ -232,6 +232,14 @@ def test_decontamination_checks_every_placement(spark):
     assert decontaminate.leaks(torn, same).count() == 0
 
 
+def test_decontamination_reads_names_at_sentence_starts(spark):
+    asked = "{0} earns {1} dollars an hour. Yesterday, {0} did 50 minutes of work. {0} paid 3 dollars. How much did {0} keep?"
+    bench = spark.createDataFrame([(1, asked.format("Weng", 12))], "item_id long, text string")
+    docs = spark.createDataFrame([(1, asked.format("Maria", 15)), (2, "Noise here.\n\"" + asked.format("Maria", 15) + "\" More noise."), (3, asked.format("Weng", 12)),
+                                  (4, "Olga earns 12 dollars an hour. Yesterday, Petra did 50 minutes of work. Maria paid 3 dollars. How much did Nina keep?")], "doc_id long, text string")
+    assert {r["doc_id"]: (r["kind"], r["coverage"]) for r in decontaminate.leaks(docs, bench).collect()} == {1: ("reparameterised", 1.0), 2: ("reparameterised", 1.0), 3: ("verbatim", 1.0)}
+
+
 def test_decontamination_finds_every_passage(spark):
     d = "/root/testdata/sf0.01"
     docs, bench = ([tuple(r) for r in spark.read.parquet(f"{d}/{t}.parquet").select(k, "text").collect()] for t, k in (("documents", "doc_id"), ("benchmark", "item_id")))
