@@ -2,16 +2,19 @@
 
 Numbers, units and names become typed placeholders (a marker character; the value stays beside it in a second, aligned
 word list), so a question whose values were changed keeps its template. A capitalised word that may merely start a sentence (at the start of a text, sentence or line, after a quote,
-bracket or digit) is read in both ways, as a plain word and as a name, in documents and items. Windows of the canonical words of all documents
-meet the windows of the benchmark in a hash join; the benchmark side is broadcast only if its counted windows stay under
-a bound, else both sides shuffle by hash, where a window that many documents share is pre-aggregated per document. For each
+bracket or digit) is read in both ways, as a plain word and as a name, in documents and items.
+
+First, all documents are reduced to hashes of their windows, with every capitalised word read as a name, and those that hold any
+window of an item (in one of the item's readings) are noticed; the benchmark side is broadcast only if its counted windows stay under a bound,
+else both sides shuffle by hash. Windows with their values are made of the noticed texts alone, once for equal texts, and
+joined with the items' by hash. For each
 document and item the slots are compared: every value of the item must always map to the same value of the document.
 This is asked of each placement by itself (the windows found at one offset between item and document), of the windows whose
 values equal the item's, and of the first places; placements that agree with each other are joined. A pair counts as a
 leak if one of them, with the windows without values, holds at least `coverage` of the item's windows, or `run` of them.
 
 Edge cases: null or empty texts have no windows; an item shorter than a window is matched as a whole by windows of its own
-length; items without words are skipped; rows without an id are reported under null; repeated rows count once; an empty
+length; items without words are skipped; rows without an id are reported under null; rows that repeat an id and item are reported once; extra columns are ignored; an empty
 table on either side gives no leaks. Texts are read whole.
 """
 
@@ -23,10 +26,13 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import shared_table
-from .windows import let, starts
+from .windows import let, starts, window_hashes
 
 NUMBER, UNIT, NAME, INITIAL = "", "", "", ""
 MARKS = f"[{NUMBER}-{INITIAL}]"
+#: Hashes of up to so many item windows, and of so many texts that hold one, are broadcast; more are shuffled.
+BROADCAST_ROWS = 1_000_000
+
 # Units that may follow a number.
 UNITS = ("km", "m", "cm", "mm", "mi", "miles", "mile", "ft", "feet", "inches", "inch", "kg", "g", "mg", "lb", "lbs", "tons", "ton", "l", "ml", "s", "sec", "seconds", "second", "min", "minutes",
          "minute", "h", "hours", "hour", "days", "day", "weeks", "week", "months", "month", "years", "year", "dollars", "dollar", "euros", "euro", "cents", "percent", "degrees", "mph", "kmh", "kwh",
@@ -47,6 +53,51 @@ def valued_text(text: Column) -> Column:
     return F.trim(F.regexp_replace(t, rf"[^\p{{L}}\p{{N}}_{NUMBER}-{INITIAL}]+", " "))
 
 
+def canonical_text(text: Column) -> Column:
+    """Words parted by single blanks, placeholders without their values, every capitalised word read as a name."""
+    t = let(F.coalesce(text, F.lit("")), lambda x: F.when(x.rlike(MARKS), F.regexp_replace(x, MARKS, " ")).otherwise(x))
+    t = F.lower(F.regexp_replace(t, r"(?=\p{Lu})(?<![\p{L}\p{N}_])\p{Lu}\p{Ll}+(?!\p{L})[\p{N}_]*", NAME))
+
+    def numbers(x: Column) -> Column:
+        n = F.regexp_replace(x, r"(?<=\d)[.,:/](?=\d)", "_")
+        n = F.regexp_replace(n, rf"(?<![\p{{L}}\d_])(?:\d[\d_]*) ?(?:{'|'.join(sorted(UNITS, key=len, reverse=True))})(?!\p{{L}})", f" {NUMBER} {UNIT} ")
+        n = F.regexp_replace(n, r"(?<![\p{L}\d_])(?:\d[\d_]*)", f" {NUMBER} ")
+        return F.when(x.rlike(r"\d"), n).otherwise(x)
+
+    return F.trim(F.regexp_replace(let(t, numbers), rf"[^\p{{L}}\p{{N}}_{NUMBER}-{INITIAL}]+", " "))
+
+
+def canonical_hashes(text: Column) -> Column:
+    """A hash per word of the canonical text, as `parsed` has them for the reading of capitals as names."""
+    return let(canonical_text(text), lambda t: F.when(t == "", F.array().cast("array<bigint>")).otherwise(F.transform(F.split(t, " "), lambda w: F.xxhash64(w))))
+
+
+def item_keys(items: DataFrame, id_col: str, text_col: str, width: int) -> DataFrame:
+    """width, hash: the windows by which a text that holds an item is noticed. A capital at a sentence start is read as a name and as a
+    plain word, and the item's first word as a name too, as it may start a sentence of the text."""
+    name = F.array(F.xxhash64(F.lit(NAME)))
+    first = lambda words: F.concat(name, F.slice(words, 2, F.greatest(F.size(words) - 1, F.lit(0))))
+    rows = items.select(let(parsed(valued_text(F.col(text_col))), lambda r: F.struct(r["plain"].alias("plain"), r["named"].alias("named"))).alias("r")).select("r.*")
+    rows = rows.filter(F.size("plain") > 0).select(F.explode(F.array("plain", "named", first(F.col("plain")), first(F.col("named")))).alias("words"))
+    rows = rows.withColumn("width", F.least(F.size("words"), F.lit(width)))
+    at = F.sequence(F.lit(0), F.size("words") - F.col("width"))
+    return rows.select("width", F.explode(F.transform(at, lambda i: F.xxhash64(F.slice("words", i + 1, F.col("width"))))).alias("hash")).distinct()
+
+
+def noticed(docs: DataFrame, keys: DataFrame, widths: list[int], few: bool, id_col: str, text_col: str) -> DataFrame:
+    """id, key, text of the documents that hold a window of an item. Only hashes of windows are made of all the others; equal texts have one key."""
+    key = F.xxhash64(F.coalesce(text_col, F.lit(""))).alias("key")
+    if len(widths) == 1:
+        found = docs.select(key, F.explode(let(canonical_hashes(F.col(text_col)), lambda own: window_hashes(own, widths[0]))).alias("hash")).withColumn("width", F.lit(widths[0]))
+    else:
+        every = let(canonical_hashes(F.col(text_col)), lambda own: F.array(*(F.struct(F.lit(w).alias("width"), window_hashes(own, w).alias("h")) for w in widths)))
+        found = docs.select(key, F.explode(every).alias("x")).select("key", "x.width", F.explode("x.h").alias("hash"))
+    hits = shared_table(found.join(F.broadcast(keys) if few else keys, ["width", "hash"], "left_semi").select("key").distinct())
+    bounded = hits.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
+    own = docs.select(F.col(id_col).cast("long").alias("id"), key, F.coalesce(text_col, F.lit("")).alias("text"))
+    return shared_table(own.join(F.broadcast(hits) if bounded else hits, "key", "left_semi").select("id", "key", "text"))
+
+
 def parsed(valued: Column) -> Column:
     """Per word, read with a sentence-initial capital as a plain word and as a name: hash of the canonical word, and value of a placeholder (else null)."""
     def build(v: Column) -> Column:
@@ -105,8 +156,19 @@ def leaks(docs: DataFrame, benchmark: DataFrame, width: int = 8, coverage: float
     """doc_id, item_id, item_windows, matched_windows, coverage, n_slots, changed_slots, kind of each leak."""
     items = benchmark_windows(benchmark, width, item_id, item_text)
     widths = {r["width"]: r["count"] for r in items.groupBy("width").count().collect()}
-    items = F.broadcast(items) if sum(widths.values()) <= broadcast_rows else items
-    hits = windows(docs, sorted(widths) or [width], id_col, text_col).drop("reading").join(items, ["width", "hash"])
+    few, sizes = sum(widths.values()) <= broadcast_rows, sorted(widths) or [width]
+    seen = noticed(docs, item_keys(benchmark, item_id, item_text, width), sizes, few, id_col, text_col)
+    texts = seen.select("key", "text").dropDuplicates(["key"])
+    hits = windows(texts, sizes, "key", "text").drop("reading").join(F.broadcast(items) if few else items, ["width", "hash"])
+    found = leaking(hits, coverage, run)
+    rows = seen.select(F.col("id").alias("doc_id"), F.col("key").alias("text_key")).join(found.withColumnRenamed("doc_id", "text_key"), "text_key").drop("text_key")
+    facts = ["item_windows", "matched_windows", "coverage", "n_slots", "changed_slots", "kind"]
+    best_of = F.max(F.struct("matched_windows", "item_windows", "coverage", "n_slots", "changed_slots", "kind")).alias("b")
+    return rows.groupBy("doc_id", "item_id").agg(best_of).select("doc_id", "item_id", *(f"b.{c}" for c in facts))
+
+
+def leaking(hits: DataFrame, coverage: float, run: int) -> DataFrame:
+    """doc_id, item_id, … of the leaks among matching windows (id, item_id, item_windows, item_pos, item_slots, reading, pos, slots)."""
     pair, enough = ["doc_id", "item_id", "item_windows"], (F.col("matched_windows") >= coverage * F.col("item_windows")) | (F.col("matched_windows") >= run)
     # Windows without values agree with every placement; the others belong to the placement of their offset.
     offset = F.when(F.col("item_slots") != "", F.col("pos") - F.col("item_pos"))
