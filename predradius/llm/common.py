@@ -1,4 +1,4 @@
-"""What the training-data operators share: table access, text keys, tables in the shared folder."""
+"""What the training-data operators share: table access, text keys, tables in the shared folder, leaving out listed rows."""
 
 from __future__ import annotations
 
@@ -10,6 +10,8 @@ from pyspark.sql import functions as F
 
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 LOWER = UPPER.lower()
+#: Lists of up to so many narrow rows are broadcast (some tens of MB); longer ones are shuffled.
+BROADCAST_ROWS = 1_000_000
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -28,12 +30,15 @@ def fold(number: Column) -> Column:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a local temporary one only if the session names none."""
+    """The folder that driver and executors share. A local session without one gets a temporary folder; a cluster must name one."""
     sc = spark.sparkContext
     folder = sc._jsc.sc().getCheckpointDir()
     if folder.isDefined():
         return folder.get()
-    sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="checkpoint-"))
+    named = sc.getConf().get("spark.checkpoint.dir")
+    if not named and not (sc.master or "").startswith("local["):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="checkpoint-"))
     return sc._jsc.sc().getCheckpointDir().get()
 
 
@@ -49,3 +54,21 @@ def shared_table(df: DataFrame, partitions: int | None = None) -> DataFrame:
     where = jvm.org.apache.hadoop.fs.Path(path)
     where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(where)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def fresh_names(df: DataFrame, n: int) -> list[str]:
+    """n column names that df does not have, in any case."""
+    taken, found, i = {c.lower() for c in df.columns}, [], 0
+    while len(found) < n:
+        if f"own_{i}" not in taken:
+            found.append(f"own_{i}")
+        i += 1
+    return found
+
+
+def without(df: DataFrame, listed: DataFrame, keys: list[str], keep: bool = False) -> DataFrame:
+    """The rows of df whose keys (null equals null) are not listed; with keep, those that are. A list of counted, bounded size is broadcast, so that texts stay where they are."""
+    listed = listed.select(*(F.col(k).alias(f"{k}_listed") for k in keys)).distinct()
+    few = listed.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
+    same = [F.col(k).eqNullSafe(F.col(f"{k}_listed")) for k in keys]
+    return df.join(F.broadcast(listed) if few else listed, same, "left_semi" if keep else "left_anti")

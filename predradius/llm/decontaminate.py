@@ -25,14 +25,11 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import shared_table
+from .common import BROADCAST_ROWS, fresh_names, shared_table, without
 from .windows import let, starts, window_hashes
 
 NUMBER, UNIT, NAME, INITIAL = "", "", "", ""
 MARKS = f"[{NUMBER}-{INITIAL}]"
-#: Hashes of up to so many item windows, and of so many texts that hold one, are broadcast; more are shuffled.
-BROADCAST_ROWS = 1_000_000
-
 # Units that may follow a number.
 UNITS = ("km", "m", "cm", "mm", "mi", "miles", "mile", "ft", "feet", "inches", "inch", "kg", "g", "mg", "lb", "lbs", "tons", "ton", "l", "ml", "s", "sec", "seconds", "second", "min", "minutes",
          "minute", "h", "hours", "hour", "days", "day", "weeks", "week", "months", "month", "years", "year", "dollars", "dollar", "euros", "euro", "cents", "percent", "degrees", "mph", "kmh", "kwh",
@@ -228,6 +225,6 @@ def best(choices: DataFrame, pair: list[str]) -> DataFrame:
 
 def drop_leaks(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
     """The documents without a leak, with their columns. Rows without an id stay."""
-    id_col = options.get("id_col", "doc_id")
-    gone = leaks(docs, benchmark, **options).select(F.col("doc_id").alias(id_col)).distinct()
-    return docs.join(gone, id_col, "left_anti").select(*docs.columns)
+    id_col, (own,) = options.get("id_col", "doc_id"), fresh_names(docs, 1)
+    gone = shared_table(leaks(docs, benchmark, **options).filter("doc_id is not null").select(F.col("doc_id").alias(own)).distinct())
+    return without(docs.withColumn(own, F.col(id_col).cast("long")), gone, [own]).select(*(f"`{c}`" for c in docs.columns))

@@ -35,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import shared_table
+from .common import fresh_names, shared_table, without
 
 BASE, LEVELS = 1.001, 65534
 SKETCH = "doc_id long, n_shingles long, set_a long, set_b long, registers binary, keys array<long>"
@@ -240,7 +240,7 @@ def possible(rows: DataFrame, percent: int) -> DataFrame:
 class ResidualKeys:
     """Bucket keys of residuals for each pair of slack classes: bands of minima where the pair's similarity is high enough, else a prefix."""
 
-    MOST_BANDS, MOST_HASHES = 128, 512
+    MOST_BANDS, MOST_HASHES = 32, 512
 
     def __init__(self, percent: int, miss: float = 1e-5, seed: int = 11):
         self.percent, self.miss = percent, miss
@@ -441,7 +441,7 @@ def merge_registers(registers: list[np.ndarray]) -> np.ndarray:
 
 
 def drop_near_duplicates(docs: DataFrame, **options) -> DataFrame:
-    """One document of each group stays: the one with the smallest id. Rows without an id stay."""
-    id_col = options.get("id_col", "doc_id")
-    gone = near_duplicate_groups(docs, **options).filter(~F.col("kept")).select(F.col("doc_id").alias(id_col))
-    return docs.join(gone, id_col, "left_anti").select(*docs.columns)
+    """One document of each group stays: the one with the smallest id. Rows without an id stay where no document with an id has their set."""
+    id_col, (own,) = options.get("id_col", "doc_id"), fresh_names(docs, 1)
+    gone = shared_table(near_duplicate_groups(docs, **options).filter(~F.col("kept")).select(F.col("doc_id").alias(own)))
+    return without(docs.withColumn(own, F.col(id_col).cast("long")), gone, [own]).select(*(f"`{c}`" for c in docs.columns))
