@@ -8,7 +8,9 @@ smallest count that could hold the shard and rises whenever a window would excee
 piece descriptors of one shard only.
 
 Edge cases: null text counts as empty and still yields its end id; rows without an id are packed too, under a null id;
-repeated rows are packed as often as they come; an empty table gives no pieces. Texts of any length are encoded whole.
+repeated rows are packed as often as they come, and ties of equal sizes go by their order in the partition; an empty table gives no
+pieces; extra columns are ignored, whatever their names. Texts of any length are encoded whole. The string of the vocabulary's special
+token inside a text becomes that token, as the tokenizer's own default has it.
 """
 
 from __future__ import annotations
@@ -22,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .tokens import encoder
+from .tokens import SPECIAL, encoder
 
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, sequence_tokens long"
 
@@ -67,13 +69,13 @@ def windows(sizes: list[int], capacity: int) -> list[list[int]]:
         k += 1
 
 
-def pack_partition(capacity: int, piece: int, shard_windows: int, end_id: int, ranks_file, pattern):
+def pack_partition(capacity: int, piece: int, shard_windows: int, end_id: int, ranks_file, pattern, special):
     end = np.array([end_id], dtype="<u4")
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        ids_of = encoder(ranks_file, pattern).encode
+        ids_of = encoder(ranks_file, pattern, special).encode
         sequence = TaskContext.get().partitionId() << 40
         rest: list[tuple] = []  # doc_id, start, length, crc, doc_tokens
         rest_tokens = 0
@@ -123,10 +125,11 @@ def pack_partition(capacity: int, piece: int, shard_windows: int, end_id: int, r
 
 
 def pack_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", capacity: int = 2048, piece: int = 256,
-                   shard_windows: int = 128, end_id: int = 1, ranks_file: str | None = None, pattern: str | None = None) -> DataFrame:
+                   shard_windows: int = 128, end_id: int = 1, ranks_file: str | None = None, pattern: str | None = None,
+                   special: dict[str, int] | None = SPECIAL) -> DataFrame:
     """One row per piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset, sequence_tokens.
 
-    A sequence is padded to `capacity` unless its sequence_tokens is a power of two.
+    A sequence is padded to `capacity` unless its sequence_tokens is a power of two. special: strings in the texts that become ids of their own.
     """
     narrow = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    return narrow.mapInArrow(pack_partition(capacity, piece, shard_windows, end_id, ranks_file, pattern), SCHEMA)
+    return narrow.mapInArrow(pack_partition(capacity, piece, shard_windows, end_id, ranks_file, pattern, special), SCHEMA)

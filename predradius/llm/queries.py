@@ -9,7 +9,7 @@ from . import chat, decontaminate, exact_dedup, language_id, licenses, near_dedu
 from .common import fold, table
 
 def held_out() -> Column:
-    return fold(F.col("doc_id")) == 2
+    return fold(F.col("doc_id")).eqNullSafe(F.lit(2))
 
 
 def op1_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -43,6 +43,23 @@ def test_exact_dedup(odd, none):
     assert exact_dedup.exact_duplicates(none).count() == 0
 
 
+def test_exact_dedup_of_a_hot_text_with_clashing_columns(spark):
+    made = [(i if i % 7 else None, "Hot" if i % 3 else f"t{i}", "x", i) for i in range(400)]
+    docs = spark.createDataFrame(made + made[:50], "doc_id long, text string, own_0 string, kept long")
+    want = {}
+    for i, t, *_ in made:
+        want.setdefault(t.lower(), []).append(i)
+    got = {(r["doc_id"], r["text_sha256"]): (r["keep_id"], r["group_size"]) for r in exact_dedup.exact_duplicates(docs, runs=64).collect()}
+    copies = defaultdict(int)
+    for i, t, *_ in made + made[:50]:
+        copies[t.lower()] += 1
+    for t, ids in want.items():
+        keep = max((i for i in ids if i is not None), default=None)
+        assert all(got[i, hashlib.sha256(t.encode()).hexdigest()] == (keep, copies[t]) for i in ids)
+    kept = exact_dedup.drop_exact_duplicates(docs)
+    assert kept.columns == docs.columns and sorted(r["text"].lower() for r in kept.select("text").collect()) == sorted(want)
+
+
 def test_exact_dedup_runs_agree(spark, sf_dir):
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     a, b = (sorted(map(tuple, exact_dedup.exact_duplicates(docs, runs=r, fan_in=f).collect())) for r, f in ((64, 8), (9, 2)))
@@ -84,6 +101,38 @@ def test_near_dedup(spark, sf_dir, odd, none):
     assert small[5] == 4 and small[7] == 6 and small[0] == 0 and small[1] == 1
 
 
+def edited_copies(n, edits, vocabulary, seed):
+    """n copies of one 400-word text, each with a few words of its own."""
+    draw = np.random.default_rng(seed)
+    out = []
+    for i in range(n):
+        words = [f"b{k}" for k in range(400)]
+        for at in draw.choice(400, int(draw.choice(edits)), replace=False):
+            words[at] = f"e{draw.integers(vocabulary)}"
+        out.append((1000 + i, " ".join(words)))
+    return out
+
+
+@pytest.mark.parametrize("n, edits, vocabulary", [(150, [6], 1 << 30), (150, [3, 5, 7, 9, 12], 3), (120, [1, 2, 4, 8, 20], 200)])
+def test_near_dedup_of_many_edited_copies(spark, monkeypatch, n, edits, vocabulary):
+    """Copies that mostly link with no other: every link is found, and the pairs looked at stay far below all pairs."""
+    made, looked = edited_copies(n, edits, vocabulary, 5), []
+    confirm = near_dedup.Linker.confirm
+    monkeypatch.setattr(near_dedup.Linker, "confirm", lambda self, pairs: (confirm(self, pairs), looked.append(self.looked_at.count())))
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in near_dedup.near_duplicate_groups(spark.createDataFrame(made, "doc_id long, text string")).collect()}
+    assert got == brute_components(made)
+    if vocabulary > 1000:
+        assert looked[-1] < 12 * n
+
+
+def test_near_dedup_of_an_id_with_several_texts(spark):
+    a, b = " ".join(f"a{i}" for i in range(60)), " ".join(f"b{i}" for i in range(60))
+    docs = spark.createDataFrame([(1, a), (1, b), (2, a + " end"), (3, b), (None, a), (4, None), (4, "")], "doc_id long, text string")
+    got = sorted((str(r["doc_id"]), r["component_id"]) for r in near_dedup.near_duplicate_groups(docs).collect())
+    assert got == [("1", 1), ("1", 1), ("2", 1), ("3", 1), ("4", 4), ("4", 4), ("None", 1)]
+    assert sorted(r[0] for r in near_dedup.drop_near_duplicates(docs).filter("doc_id is not null").collect()) == [1, 1, 4, 4]
+
+
 def test_registers_merge_and_estimate():
     own = near_dedup.Sketcher(30, 7)
     draw = np.random.default_rng(3)
@@ -100,8 +149,8 @@ def test_packing(spark, sf_dir, odd, none):
     import public_tokenizers
 
     tok = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
-    tok.encode_special_tokens = True
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").limit(60).select("doc_id", "text").union(odd.filter("doc_id is not null").select(F.col("doc_id") + 1000, "text").distinct())
+    docs = docs.union(spark.createDataFrame([(5000, "hello <|endoftext|> x"), (5001, "<|endoftext|><|endoftext|>a<|endoftext"), (5002, "  <|endoftext|>\n")], docs.schema))
     pieces = packing.pack_documents(docs).collect()
     ids = {r["doc_id"]: [*tok.encode(r["text"] or "", add_special_tokens=False).ids, 1] for r in docs.collect()}
     by_doc, by_seq = defaultdict(list), defaultdict(list)
