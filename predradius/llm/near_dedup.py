@@ -6,7 +6,8 @@ share that follows the Jaccard similarity. `bands` groups of `rows` registers ar
 at least one of 30 keys of 7 registers with probability 1 - 1e-5. Then:
 
 1. Documents with equal shingle sets form classes; one representative of each goes on, so copies cost nothing more.
-2. In every bucket (band, key) each member is paired with the bucket's smallest member only, not with all others.
+2. In every bucket (band, key) of up to 32 members each one is paired with the bucket's smallest member only, not with all others;
+   larger buckets go to step 4 at once.
 3. The joint maximum likelihood of both sketches, given both set sizes, estimates the similarity; pairs far below the threshold
    go no further. The others are confirmed on their full shingle sets.
 4. Confirmed links join representatives into components. Buckets that hold several components still (a passage that many documents
@@ -38,6 +39,8 @@ from pyspark.sql import functions as F
 from .common import fresh_names, shared_table, without
 
 BASE, LEVELS = 1.001, 65534
+#: Buckets of more members are refined at once: a pivot that is one copy among many settles little, their common core settles most.
+STAR_MEMBERS = 32
 SKETCH = "doc_id long, n_shingles long, set_a long, set_b long, registers binary, keys array<long>"
 SETS = "n_shingles long, set_a long, set_b long, shingles array<long>"
 
@@ -326,13 +329,21 @@ def stars(members: DataFrame) -> DataFrame:
     return members.join(pivots, "bucket").filter("node != a").select("a", F.col("node").alias("b")).distinct()
 
 
+def placed(members: DataFrame, groups: DataFrame) -> DataFrame:
+    """bucket, node, component: members with the component they are in so far."""
+    return members.join(groups, "node", "left").select("bucket", "node", F.coalesce("component", "node").alias("component"))
+
+
+def mixed_buckets(here: DataFrame) -> DataFrame:
+    return here.groupBy("bucket").agg(F.min("component").alias("c"), F.max("component").alias("d")).filter("c != d").select("bucket")
+
+
 def unsettled(members: DataFrame, groups: DataFrame) -> DataFrame:
     """bucket, node, component: members, without the smallest, of buckets in which they belong to several components still."""
-    here = members.join(groups, "node", "left").withColumn("component", F.coalesce("component", "node"))
+    here = placed(members, groups)
     pivots = here.groupBy("bucket").agg(F.min("node").alias("pivot"), F.count(F.lit(1)).alias("n")).filter("n > 2").drop("n")
     rest = here.join(pivots, "bucket").filter("node != pivot").drop("pivot")
-    split = rest.groupBy("bucket").agg(F.min("component").alias("c"), F.max("component").alias("d")).filter("c != d").select("bucket")
-    return rest.join(split, "bucket")
+    return rest.join(mixed_buckets(rest), "bucket")
 
 
 def some(df: DataFrame) -> bool:
@@ -406,16 +417,18 @@ def near_duplicate_groups(docs: DataFrame, percent: int = 85, width: int = 5, ba
     linker = Linker(docs, reps, percent, width, margin, id_col, text_col)
     # 2. Members of buckets that hold more than one, each with the bucket's smallest member; 3. estimate, then confirm.
     entries = reps.select("node", F.posexplode("keys").alias("band", "key")).select("node", F.xxhash64("band", "key").alias("bucket"))
-    shared = entries.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").drop("n")
+    shared = entries.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
     members = shared_table(entries.join(shared, "bucket"))
-    linker.confirm(stars(members))
+    small, large = members.filter(F.col("n") <= STAR_MEMBERS).drop("n"), members.filter(F.col("n") > STAR_MEMBERS).drop("n")
+    linker.confirm(stars(small))
     # Rows of one id are one document: its texts belong together.
     ids = found.filter("node is not null and doc_id is not null").select("doc_id", "node")
     several = ids.groupBy("doc_id").agg(F.min("node").alias("a"), F.max("node").alias("z")).filter("a != z").drop("z")
     same_id = shared_table(ids.join(several, "doc_id").filter("a != node").select("a", F.col("node").alias("b")).distinct())
     groups = components(linker.links.union(same_id))
     # 4. Pairs across components among the members of buckets that hold several components still.
-    loose = shared_table(unsettled(members, groups))
+    crowd = placed(large, groups)
+    loose = shared_table(unsettled(small, groups).unionByName(crowd.join(mixed_buckets(crowd), "bucket")))
     if some(loose) and (finer := linker.refine(loose)) is not None:
         linker.confirm(stars(finer))
         groups = components(linker.links.union(same_id))
