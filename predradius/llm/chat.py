@@ -6,7 +6,8 @@ tree are ranked by score, and each chosen path is formatted as one conversation
 
 Template: every turn is `<|turn|>role\\n`, the text, `<|end|>`. Inside roles and texts, strings that could be read as
 control strings (`<|`, `<s>`, `</s>`, `[INST]`, `[/INST]`, `<SYS>`, `</SYS>`) get a backslash after their first
-character, and those that have backslashes there get one more, so `unescape` restores every text.
+character, and those that have backslashes there get one more, so `unescape` restores every text. Roles also have their backslashes
+doubled and line breaks written as a backslash and an n.
 
 Edge cases: null texts and roles count as empty; messages of a null conversation form one conversation under a null id;
 a parent that does not exist makes its child a root; rows equal in all columns stay separate turns; messages on a cycle
@@ -35,6 +36,15 @@ def escape(text: Column) -> Column:
     return F.regexp_replace(text, CONTROL, r"$1$2\\$3")
 
 
+def escape_role(role: Column) -> Column:
+    """A role ends at a line break, so it may hold none: backslashes double, and a line break becomes a backslash and an n."""
+    return F.replace(F.replace(escape(role), F.lit("\\"), F.lit("\\\\")), F.lit("\n"), F.lit("\\n"))
+
+
+def unescape_role(role: str) -> str:
+    return unescape(re.sub(r"\\(.)", lambda m: "\n" if m[1] == "n" else m[1], role, flags=re.S))
+
+
 def unescape(text: str) -> str:
     return UNCONTROL.sub(r"\1\2\3", text)
 
@@ -75,7 +85,7 @@ def format_paths(nodes: DataFrame, paths: DataFrame, learn: str = "assistant") -
     """conv_id, branch, n_turns, formatted, loss_spans: code point ranges [from, to) of the texts to learn."""
     steps = paths.select(F.col("conv_id").alias("c"), "branch", F.posexplode("path").alias("i", "n"))
     own = nodes.join(steps, F.col("conv_id").eqNullSafe(F.col("c")) & (F.col("node") == F.col("n")))
-    turns = own.select("conv_id", "branch", "i", F.concat(F.lit(TURN), escape("role"), F.lit("\n")).alias("head"), escape("text").alias("body"), (F.col("role") == learn).alias("learned"))
+    turns = own.select("conv_id", "branch", "i", F.concat(F.lit(TURN), escape_role(F.col("role")), F.lit("\n")).alias("head"), escape("text").alias("body"), (F.col("role") == learn).alias("learned"))
     whole = turns.groupBy("conv_id", "branch").agg(F.sort_array(F.collect_list(F.struct("i", "head", "body", "learned"))).alias("t"))
     start = F.struct(F.lit(0).cast("int").alias("at"), F.array().cast("array<struct<from:int,to:int>>").alias("spans"))
 
@@ -94,7 +104,7 @@ def parse_formatted(formatted: str) -> list[tuple[str, str]]:
     turns = []
     for part in formatted.split(END)[:-1]:
         role, _, text = part.removeprefix(TURN).partition("\n")
-        turns.append((unescape(role), unescape(text)))
+        turns.append((unescape_role(role), unescape(text)))
     return turns
 
 

@@ -11,5 +11,5 @@ ORACLES = {
       UNION ALL SELECT -7, 0, 'user', '</s>[INST] ok [/INST]' UNION ALL SELECT -7, 1, 'assistant', '</s>[INST] ok [/INST]')
       SELECT conv_id, count(*) AS n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256, coalesce(sum(length(text)) FILTER (WHERE role = 'assistant'), 0)::BIGINT AS loss_chars,
       sha256(coalesce(string_agg(text, '' ORDER BY turn, role, text) FILTER (WHERE role = 'assistant'), '')) AS loss_sha256,
-      sum(16 + length({ESCAPED.format('role')}) + length({ESCAPED.format('text')}))::BIGINT AS formatted_chars FROM t GROUP BY conv_id""",
+      sum(16 + length(replace(replace({ESCAPED.format('role')}, '\\', '\\\\'), chr(10), '\\n')) + length({ESCAPED.format('text')}))::BIGINT AS formatted_chars FROM t GROUP BY conv_id""",
 }
