@@ -5,8 +5,9 @@ payload digest). Both name the response in WARC-Refers-To, repeat its target URI
 record identifiers derive from the response's, so a task that runs again makes the same records.
 
 Edge cases: null or empty HTML gives an empty text and no links; a null URL is left out of the headers and the payload; a
-payload that is not HTML is passed on as it is; an empty table gives no records; rows that repeat give records that
-repeat.
+payload that is not HTML is passed on as it is; line breaks in a URL are percent-encoded in the headers; an empty table gives no
+records; rows that repeat give records that repeat; very long pages are scanned once, also if tags or comments are left open;
+extra columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
@@ -24,12 +25,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 RECORD = "page_id long, kind string, record_id string, refers_to string, headers string, block string"
-HIDDEN = re.compile(r"<!--.*?-->|<(script|style|noscript|template)\b.*?</\1\s*>|<head\b.*?</head\s*>", re.I | re.S)
+OPENER = re.compile(r"<!--|<(script|style|noscript|template|head)\b", re.I)
+CLOSERS = {name: re.compile(rf"</{name}\s*>", re.I) for name in ("script", "style", "noscript", "template", "head", "title")}
 BREAKS = re.compile(r"</?(?:p|div|br|li|ul|ol|h[1-6]|tr|table|section|article|header|footer|nav|aside|main|pre|blockquote|form|dl|dt|dd)\b[^>]*>", re.I)
 TAG = re.compile(r"<[^>]*>")
 BLANKS = re.compile(r"[ \t\f\v ]+")
-TITLE = re.compile(r"<title\b[^>]*>(.*?)</title\s*>", re.I | re.S)
-LINK = re.compile(r"""<a\b[^>]*?\bhref\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>]+))""", re.I)
+TITLE = re.compile(r"<title\b", re.I)
+ANCHOR = re.compile(r"<a\b", re.I)
+HREF = re.compile(r"""\bhref\s*=\s*(?:"|'|(?=[^\s>]))""", re.I)
+BARE = re.compile(r"[^\s>]+")
 
 
 def digest(data: bytes) -> str:
@@ -41,19 +45,71 @@ def derived_id(*parts) -> str:
 
 
 def header_text(fields: list[tuple[str, object]]) -> str:
-    return "WARC/1.1\r\n" + "".join(f"{k}: {v}\r\n" for k, v in fields if v is not None) + "\r\n"
+    """Line breaks inside a value are percent-encoded, so no value can add a field."""
+    line = lambda v: str(v).replace("\r", "%0D").replace("\n", "%0A")
+    return "WARC/1.1\r\n" + "".join(f"{k}: {line(v)}\r\n" for k, v in fields if v is not None) + "\r\n"
 
 
 def header_fields(headers: str) -> dict[str, str]:
     return dict(line.split(": ", 1) for line in headers.split("\r\n")[1:] if ": " in line)
 
 
+def visible(markup: str) -> str:
+    """Markup without comments, scripts, styles, templates and the head; an unclosed one stays. One pass, whatever the markup."""
+    out, at, unclosed = [], 0, set()
+    for m in OPENER.finditer(markup):
+        kind = (m[1] or "").lower()
+        if m.start() < at or kind in unclosed:
+            continue
+        if kind:
+            end = CLOSERS[kind].search(markup, m.end())
+            stop = end.end() if end else -1
+        else:
+            stop = markup.find("-->", m.end()) + 3 if markup.find("-->", m.end()) >= 0 else -1
+        if stop < 0:
+            unclosed.add(kind)
+        else:
+            out += [markup[at : m.start()], " "]
+            at = stop
+    return "".join([*out, markup[at:]])
+
+
 def page_text(markup: str) -> str:
-    text = TAG.sub("", BREAKS.sub("\n", HIDDEN.sub(" ", markup)))
+    shown = visible(markup)
+    last = shown.rfind(">") + 1  # what follows holds no whole tag
+    text = TAG.sub("", BREAKS.sub("\n", shown[:last])) + shown[last:]
     lines = (line.strip() for line in BLANKS.sub(" ", html.unescape(text)).split("\n"))
     return "\n".join(line for line in lines if line)
 
 
+def page_title(markup: str) -> str | None:
+    m = TITLE.search(markup)
+    start = markup.find(">", m.end()) + 1 if m else 0
+    end = CLOSERS["title"].search(markup, start) if start else None
+    return html.unescape(markup[start : end.start()]).strip() if end else None
+
+
+def page_links(markup: str) -> list[str]:
+    """The targets of the anchors, in order; a quoted target may hold '>'."""
+    found, at = [], 0
+    while m := ANCHOR.search(markup, at):
+        close = markup.find(">", m.end())
+        if close < 0:
+            close = len(markup)
+        at = close
+        if not (h := HREF.search(markup, m.end(), close)):
+            continue
+        quote = markup[h.end() - 1]
+        if quote in "\"'":
+            end = markup.find(quote, h.end())
+            if end >= 0:
+                found.append(html.unescape(markup[h.end() : end]))
+                at = max(close, end)
+        elif bare := BARE.match(markup, h.end()):
+            found.append(html.unescape(bare[0]))
+    return found
+
+
 def response(page_id, url: str | None, markup: str | None, date: str) -> tuple:
     """A response record around a page, as a crawler would have stored it."""
     payload = (markup or "").encode("utf-8", "replace")
@@ -72,10 +128,10 @@ def derivatives(record: tuple) -> list[tuple]:
     fields = dict(line.split(": ", 1) for line in http.split("\r\n")[1:] if ": " in line)
     is_html = "html" in fields.get("Content-Type", "html").lower()
     text = page_text(payload) if is_html else payload
-    links = [html.unescape(next(x for x in m.groups() if x is not None)) for m in LINK.finditer(payload)] if is_html else []
-    title = TITLE.search(payload) if is_html else None
+    links = page_links(payload) if is_html else []
+    title = page_title(payload) if is_html else None
     envelope = {"refers-to": source_id, "source": {k: source[k] for k in sorted(source)}, "http": {"status": http.split("\r\n")[0], "headers": fields},
-                "html": {"title": html.unescape(title[1]).strip() if title else None, "links": links}}
+                "html": {"title": title, "links": links}}
     made = []
     for kind, content, media in (("conversion", text, "text/plain; charset=utf-8"), ("metadata", json.dumps(envelope, ensure_ascii=False, sort_keys=True), "application/json")):
         data = content.encode("utf-8", "replace")
