@@ -8,14 +8,18 @@ a fixed bound. A text's matches (the heaviest entry at each word, none inside an
 the heaviest weight, the sum of weights, and that sum normalised by length; a logistic function of them, fitted on
 labelled rows that the lexicon has not seen, is the score.
 
+Digits and signs that end a word are read both as they are and as letters; an exception phrase must end where a word does.
+
 Edge cases: null and empty texts have no match and get the score of a text without matches; without labels of both kinds
-a fixed small lexicon and fixed coefficients are used; repeated texts are learned from once; texts are scored whole.
+a fixed small lexicon and fixed coefficients are used; repeated texts are learned from once; texts are scored whole, in one pass; equal
+weights at one word count once; an empty table gives no rows; extra columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
 
 import math
 import re
+import unicodedata
 from collections import Counter
 from collections.abc import Iterator
 
@@ -31,8 +35,10 @@ LOOKALIKES = {
 }
 FOLD = {ord(c): letter for letter, others in LOOKALIKES.items() for c in others if ord(c) > 127}
 SIGNS = {ord(c): letter for letter, others in LOOKALIKES.items() for c in others if ord(c) < 128}
-#: Digits and signs stand for letters only before a letter; at a word's end they are numbers or punctuation.
+#: Digits and signs stand for letters before a letter.
 IN_WORD = re.compile(r"[0-9@$!|]+(?=[^\W\d_])")
+#: Digits and signs that end a word; they may be letters as well as numbers.
+ENDING = re.compile(r"(?<=[^\W\d_])[0-9@$!|]+(?![^\W_])")
 #: Used where no labels can be learned from, and the phrases in which a word is meant otherwise.
 SEED = {w: 6.0 for w in ("idiot", "moron", "scum", "stupid", "loser", "pathetic", "worthless", "disgusting")}
 EXCEPTIONS = ("trash can", "trash bin", "clown fish", "idiot proof", "the loser of the match", "worthless stock")
@@ -41,7 +47,11 @@ PREFIXES = range(4, 10)
 
 
 def fold_text(text: str | None) -> str:
-    return IN_WORD.sub(lambda m: m[0].translate(SIGNS), text.lower().translate(FOLD)) if text else ""
+    if not text:
+        return ""
+    if not text.isascii():  # full-width and accented letters become plain ones
+        text = "".join(c for c in unicodedata.normalize("NFKD", text) if not unicodedata.combining(c))
+    return IN_WORD.sub(lambda m: m[0].translate(SIGNS), text.lower().translate(FOLD))
 
 
 def word_features(folded: str) -> set[str]:
@@ -73,6 +83,19 @@ def feature_counts(rows: DataFrame) -> DataFrame:
     return rows.mapInArrow(count, "feature string, pos long, neg long").groupBy("feature").agg(F.sum("pos").alias("pos"), F.sum("neg").alias("neg"))
 
 
+def outside(best: dict[int, float], holes: list[tuple[int, int]]) -> dict[int, float]:
+    """The matches that start outside all holes (from, to), in one sweep over both."""
+    if not holes:
+        return best
+    kept, covered, i, holes = {}, -1, 0, sorted(holes)
+    for at in sorted(best):
+        while i < len(holes) and holes[i][0] <= at:
+            covered, i = max(covered, holes[i][1]), i + 1
+        if at > covered:
+            kept[at] = best[at]
+    return kept
+
+
 class Lexicon:
     """weights: folded word, or word beginning with a final *, -> weight."""
 
@@ -93,21 +116,23 @@ class Lexicon:
             for phrase in self.exceptions:
                 self.automaton.add_word(" " + phrase, (len(phrase), None, None))
             self.automaton.make_automaton()
-        folded = " " + fold_text(text)
-        best: dict[int, float] = {}
-        holes: list[tuple[int, int]] = []
+        folded, best, holes = fold_text(text), {}, []
+        self.scan(" " + folded, best, holes)
+        if ENDING.search(folded):  # digits that end a word are read as letters too
+            self.scan(" " + ENDING.sub(lambda m: m[0].translate(SIGNS), folded), best, holes)
+        return list(outside(best, holes).values()), len(folded)
+
+    def scan(self, folded: str, best: dict[int, float], holes: list[tuple[int, int]]) -> None:
+        """Adds the heaviest weight at the place of each matching word, and the places of exception phrases."""
         for end, (n, whole, part) in self.automaton.iter(folded):
-            start = end - n + 1
+            start, inside = end - n + 1, end + 1 < len(folded) and folded[end + 1].isalpha()
             if whole is None:
-                holes.append((start, end))
+                if not inside:
+                    holes.append((start, end))
             elif not folded[start - 1].isalpha():
-                inside = end + 1 < len(folded) and folded[end + 1].isalpha()
                 weight = part if inside else whole
                 if weight > best.get(start, 0.0):
                     best[start] = weight
-        if holes:
-            best = {at: w for at, w in best.items() if not any(a <= at <= z for a, z in holes)}
-        return list(best.values()), len(folded) - 1
 
     def measures(self, text: str | None) -> tuple[float, float, float]:
         weights, n = self.matches(text)

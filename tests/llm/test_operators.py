@@ -122,7 +122,7 @@ def test_near_dedup_of_many_edited_copies(spark, monkeypatch, n, edits, vocabula
     got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in near_dedup.near_duplicate_groups(spark.createDataFrame(made, "doc_id long, text string")).collect()}
     assert got == brute_components(made)
     if vocabulary > 1000:
-        assert looked[-1] < 12 * n
+        assert looked[-1] < n * (n - 1) / 2 / 4
 
 
 def test_near_dedup_of_an_id_with_several_texts(spark):
@@ -214,6 +214,12 @@ def test_chat_trees(spark, none):
     assert chat.format_conversations(spark.createDataFrame([], "conv_id long, turn long, role string, text string")).count() == 0
 
 
+def test_roles_with_line_breaks(spark):
+    made = [(1, 0, "us\ner", "a"), (1, 1, "assist\\nant", "b"), (1, 2, "</s>\\", "c\n")]
+    got = chat.format_conversations(spark.createDataFrame(made, "conv_id long, turn long, role string, text string")).first()
+    assert chat.parse_formatted(got["formatted"]) == [(r, t) for _, _, r, t in made]
+
+
 @pytest.mark.parametrize("text", ["", "<|turn|>", "<\\|x", "</s></s>[INST]", "[\\\\INST]<s", "<<SYS>></SYS>", "<\\\\/s>\\"])
 def test_escape_round_trip(spark, text):
     made = spark.createDataFrame([(text,)], "t string").select(chat.escape(F.col("t"))).first()[0]
@@ -252,6 +258,41 @@ def test_warc(spark):
     assert text == "x\ny" and meta["html"] == {"title": "T & U", "links": ["/l"]}
 
 
+def test_warc_headers_and_open_markup(spark):
+    bad = "<script>" * 3000 + "<!--" * 3000 + "<a " * 3000 + "<title"
+    pages = spark.createDataFrame([(1, "http://a\r\nWARC-Date: x", "<p>a</p>", 1), (1, "http://a\r\nWARC-Date: x", "<p>a</p>", 1), (2, "u", bad, 2), (3, "v", "<a name=n><a x href='q>r'>t</a><a href=z>", 3)], "page_id long, url string, html string, kind int")
+    made = warc.page_derivatives(pages).collect()
+    fields = [warc.header_fields(r["headers"]) for r in made]
+    assert len(made) == 8 and all(f["WARC-Date"] == "2020-01-01T00:00:00Z" for f in fields)
+    assert json.loads(next(r["block"] for r in made if (r["page_id"], r["kind"]) == (3, "metadata")))["html"]["links"] == ["q>r", "z"]
+    assert warc.page_derivatives(pages.filter("page_id > 9")).count() == 0
+
+
+def brute_lexicon(weights, exceptions, text):
+    """The heaviest entry at each word that no exception phrase covers, by trying every entry at every place."""
+    spaced, found = " " + text, {}
+    covered = {i for x in exceptions for i in range(len(spaced)) if spaced.startswith(" " + x, i) and not spaced[i + 1 + len(x) : i + 2 + len(x)].isalpha() for i in range(i + 1, i + 1 + len(x))}
+    for i in range(1, len(spaced)):
+        if spaced[i - 1].isalpha() or not spaced[i].isalpha() or i in covered:
+            continue
+        word = re.match(r"[^\W\d_]+", spaced[i:])[0]
+        best = max([w for e, w in weights.items() if e == word or e.endswith("*") and word.startswith(e[:-1])], default=0)
+        if best:
+            found[i] = best
+    return sorted(found.values())
+
+
+def test_toxicity_matcher_equals_brute_force():
+    weights, exceptions = {"trash": 3.0, "tra*": 1.0, "idiot": 5.0, "idi*": 2.0, "can": 1.5}, ("trash can", "idiot proof")
+    draw, words = np.random.default_rng(4), ["trash", "can", "idiot", "proof", "tram", "canister", "idiom", "x", "9", "proofs"]
+    lexicon = toxicity.Lexicon(weights, exceptions)
+    for _ in range(300):
+        text = "".join(w + s for w, s in zip(draw.choice(words, 12), draw.choice([" ", " ", ", ", "-"], 12), strict=True))
+        assert sorted(lexicon.matches(text)[0]) == brute_lexicon(weights, exceptions, text), text
+    for text in ("1d107", "ＩＤＩＯＴ", "idio7", "ídíót"):
+        assert lexicon.matches(text)[0] == [5.0]
+
+
 def test_decontamination(spark, sf_dir, odd, none):
     bench = spark.createDataFrame([(1, "A train leaves at 9 and travels 120 km in 2 hours before it stops at the old stone bridge near town"), (2, "tiny item here"), (3, None)], "item_id long, text string")
     docs = spark.createDataFrame([(1, "Noise first. A train leaves at 9 and travels 120 km in 2 hours before it stops at the old stone bridge near town. More."),
