@@ -95,6 +95,6 @@ def method_oracles() -> dict[str, str]:
     return found | {
         "probe_configs_memory": "SELECT n::INT AS n, ratio::DOUBLE AS ratio, round(n * (1 - ratio), 6)::DOUBLE AS full_states, round(n * (1 - ratio) * 300000000, 0)::DOUBLE AS bytes FROM (VALUES (128, 0.9), (64, 0.8), (32, 0.6)) t(n, ratio)",
         "synopsis_bytes": "SELECT count(*) AS items, count(*) * 4608 AS bytes FROM part",
-        "ball_count_vectors": "WITH a AS (SELECT e.vec_id AS anchor, e.embedding AS p, r.radius FROM embeddings e CROSS JOIN (SELECT unnest([0.6, 0.7, 0.8, 0.9])::DOUBLE AS radius) r WHERE e.vec_id IN (0, 7, 42, 99)), x AS (SELECT anchor, radius, 1 - list_sum(list_transform(list_zip(embedding, p), lambda z: z[1]::DOUBLE * z[2]::DOUBLE)) / sqrt(list_sum(list_transform(embedding, lambda z: z::DOUBLE * z)) * list_sum(list_transform(p, lambda z: z::DOUBLE * z))) AS dist FROM embeddings CROSS JOIN a) SELECT anchor, radius, count(*) FILTER (WHERE dist < radius) AS hits, count(*) AS total FROM x GROUP BY ALL",
+        "ball_count_vectors": "WITH a AS (SELECT e.vec_id AS anchor, e.embedding AS p, r.radius FROM embeddings e CROSS JOIN (SELECT unnest([0.6, 0.7, 0.8, 0.9])::DOUBLE AS radius) r WHERE e.vec_id % 20 = 0), x AS (SELECT anchor, radius, 1 - list_sum(list_transform(list_zip(embedding, p), lambda z: z[1]::DOUBLE * z[2]::DOUBLE)) / sqrt(list_sum(list_transform(embedding, lambda z: z::DOUBLE * z)) * list_sum(list_transform(p, lambda z: z::DOUBLE * z))) AS dist FROM embeddings CROSS JOIN a) SELECT anchor, radius, count(*) FILTER (WHERE dist < radius) AS hits, count(*) AS total FROM x GROUP BY ALL",
         "hist_equiwidth": "WITH b AS (SELECT min(p_retailprice) AS lo, max(p_retailprice) AS hi FROM part) SELECT least(19, floor((p_retailprice - lo) / (hi - lo) * 20))::INT AS bucket, count(*) AS n FROM part, b GROUP BY ALL",
     }

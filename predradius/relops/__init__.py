@@ -8,7 +8,7 @@ from functools import partial
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..sources import table
+from ..sources import shared_folder, table
 
 REV = "round(sum(l_extendedprice * (1 - l_discount)), 2)"
 #: key -> (tables, statement, statement for the oracle or None for the same)
@@ -86,12 +86,10 @@ def hinted(hint: str, spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def round_trip(kind: str, spark: SparkSession, sf_dir: str) -> DataFrame:
     """nation written as another format and read again with its schema."""
-    import tempfile
     import uuid
 
     nation = table(spark, sf_dir, "nation")
-    folder = spark.sparkContext.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp()
-    path = f"{folder}/{kind}-{uuid.uuid4().hex}"
+    path = f"{shared_folder(spark)}/{kind}-{uuid.uuid4().hex}"
     nation.write.format(kind).save(path)
     return spark.read.schema(nation.schema).format(kind).load(path)
 
@@ -99,10 +97,14 @@ def round_trip(kind: str, spark: SparkSession, sf_dir: str) -> DataFrame:
 def relational_queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     found = {k: partial(statement, k) for k in STATEMENTS}
     found |= {f"join_{name}": partial(hinted, hint) for name, hint in (("broadcast", "broadcast"), ("merge", "merge"), ("shuffle_hash", "shuffle_hash"))}
-    return found | {f"roundtrip_{k}": partial(round_trip, k) for k in ("csv", "json", "orc")}
+    from . import semantic
+
+    return found | {f"roundtrip_{k}": partial(round_trip, k) for k in ("csv", "json", "orc")} | semantic.QUERIES
 
 
 def relational_oracles() -> dict[str, str]:
     found = {k: other or text for k, (_, text, other) in STATEMENTS.items()}
     found |= {f"join_{name}": JOINED for name in ("broadcast", "merge", "shuffle_hash")}
-    return found | {f"roundtrip_{k}": "SELECT * FROM nation" for k in ("csv", "json", "orc")}
+    from . import semantic
+
+    return found | {f"roundtrip_{k}": "SELECT * FROM nation" for k in ("csv", "json", "orc")} | semantic.oracles()
