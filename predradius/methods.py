@@ -125,14 +125,43 @@ def summary(s: Suite) -> DataFrame:
 
 
 def parity(s: Suite) -> DataFrame:
-    mid = s.errors().groupBy("method", "m").agg(F.percentile("q", F.lit(0.5)).alias("p50"))
-    a = mid.filter("method = 'profile'").select(F.col("m").alias("sample"), F.col("p50").alias("own"))
-    b = mid.filter("method = 'probed'").select(F.col("m").alias("probe"), "p50")
-    return b.join(F.broadcast(a), F.col("own") <= F.col("p50"), "left").groupBy("probe").agg(F.min("sample").alias("sample"))
+    mid = s.errors().groupBy("method", "m").agg(F.percentile("q", F.lit(0.5)).alias("p50"), F.percentile("q", F.lit(0.95)).alias("p95"))
+    a = mid.filter("method = 'profile'").select(F.col("m").alias("sample"), F.col("p50").alias("own50"), F.col("p95").alias("own95"))
+    b = mid.filter("method = 'probed'").select(F.col("m").alias("probe"), "p50", "p95")
+    return b.join(F.broadcast(a), (F.col("own50") <= F.col("p50")) & (F.col("own95") <= F.col("p95")), "left").groupBy("probe").agg(F.min("sample").alias("sample"))
+
+
+def fixed_count(s: Suite) -> DataFrame:
+    """The radius that leaves ten items inside, for every predicate."""
+    return op.radius_for_count(op.distances(s.syn, s.concepts), ["concept_id"], F.max(F.lit(10)))
+
+
+def zero_truth(s: Suite) -> DataFrame:
+    """Errors apart for predicates that no item fulfils; both sides of the ratio count as one item there."""
+    return s.errors().groupBy("method", "m", (F.col("truth") == 0).alias("truth_zero")).agg(F.count(F.lit(1)).alias("n"), r6(F.percentile("q", F.lit(0.5))).alias("p50"))
+
+
+def order_ties(s: Suite) -> DataFrame:
+    """Pairs of predicates with equal estimates, whose order their names decide."""
+    keys = ["method", "m", "seed"]
+    a, b = (s.runs().select(*keys, F.col("concept_id").alias(f"c{i}"), F.col("estimate").alias(f"e{i}")) for i in "ab")
+    return a.join(b, keys).filter("ca < cb and ea = eb").groupBy("method", "m").agg(F.count(F.lit(1)).alias("ties"))
+
+
+def endtoend(s: Suite) -> DataFrame:
+    """Seconds of estimation and execution, summed over the queries of a group."""
+    each = F.when(F.col("method") == "profile", F.col("m") * COST.call_s).when(F.col("method") == "probed", COST.batch_s).otherwise(0.0)
+    return s.calls().groupBy("method", "m", "n_filters", "seed").agg(r6(F.sum(F.col("n_filters") * each + F.col("calls") * COST.call_s)).alias("seconds"))
+
+
+def profile_reuse(s: Suite) -> DataFrame:
+    """Overhead of profiling if the answers on the sample count as those of the first filter's run (m calls less in each of a group's 100 queries)."""
+    mean = s.means().filter("method = 'profile'")
+    return mean.select("m", "n_filters", r6(F.col("mean")).alias("mean"), r6(F.col("mean") - 100 * F.col("m") * COST.call_s).alias("mean_reused"))
 
 
 def interval(s: Suite) -> DataFrame:
-    half = 2.776 * F.col("sd") / F.sqrt("runs")  # t quantile of five seeds
+    half = 2.093 * F.col("sd") / F.sqrt("runs")  # t quantile of twenty seeds
     return s.means().filter("runs > 1").select("method", "m", "n_filters", r6(F.col("mean")).alias("mean"), r6(F.col("mean") - half).alias("low"), r6(F.col("mean") + half).alias("high"))
 
 
@@ -167,9 +196,10 @@ BY_SUITE: dict[str, Callable[[Suite], DataFrame]] = {
     "probe_share": lambda s: s.probed().select("seed", "m", "concept_id", (F.col("k") / F.col("n")).alias("estimate")),
     "precomputed_outcomes": precomputed, "noisy_answers": noisy,
     "qerror": lambda s: s.errors().select("method", "m", "seed", "concept_id", F.round("q", 9).alias("q_error")),
-    "qerror_summary": summary, "parity_sample": parity,
+    "qerror_summary": summary, "parity_sample": parity, "radius_for_count": fixed_count, "qerror_zero_truth": zero_truth, "order_ties": order_ties, "endtoend_cost": endtoend, "profile_reuse": profile_reuse,
+    "truth": lambda s: op.answers(s.items, s.plain),
     "random_queries": lambda s: s.queries().select("query_id", "n_filters", "concept_id", "written"),
-    "order_filters": lambda s: s.orders().filter("seed = 0 and method <> 'written'").select("method", "m", "seed", "query_id", "concept_id", "step"),
+    "order_filters": lambda s: s.orders().filter("method <> 'written'").select("method", "m", "seed", "query_id", "concept_id", "step"),
     "chain_calls": lambda s: s.calls(),
     "overhead": lambda s: s.groups().select("method", "m", "n_filters", "seed", r6(F.col("overhead")).alias("overhead")),
     "overhead_split": lambda s: s.groups().groupBy("method", "m", "n_filters").agg(r6(F.avg("est_s")).alias("est_part"), r6(F.avg("plan_s")).alias("plan_part")),
@@ -248,7 +278,7 @@ OTHERS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "synopsis_bytes": lambda spark, d: table(spark, d, "part").agg(F.count(F.lit(1)).alias("items"), (F.count(F.lit(1)) * COST.vector_bytes).alias("bytes")),
     "hist_equiwidth": equiwidth,
     "compression_ablation": compression, "diverse_sample": diverse, "best_order": best_order, "semantic_query": semantic_query,
-    "radius_training_set": lambda spark, d: op.radius_training_set(items(spark, d, "w1"), 10, 100, 20).select("draw", "concept_id", "k", "n", "radius"),
+    "radius_training_set": lambda spark, d: op.radius_training_set(items(spark, d, "w1")).select("draw", "concept_id", "k", "n", "radius"),
 }
 
 

@@ -210,7 +210,14 @@ def diverse_sample(syn: DataFrame, n: int, seed: int = 0) -> DataFrame:
     centers = points.sparkSession.createDataFrame([(i, c.tolist()) for i, c in enumerate(model.clusterCenters())], "cell int, center array<double>")
     cells = model.transform(points).select("item_id", F.col("prediction").alias("cell"), vector_to_array("features").alias("f")).join(F.broadcast(centers), "cell")
     near = cells.withColumn("d", F.expr("aggregate(zip_with(f, center, (x, y) -> (x - y) * (x - y)), 0D, (s, x) -> s + x)"))
-    return near.groupBy("cell").agg(F.min(F.struct("d", "item_id")).alias("m")).select(F.col("m.item_id").alias("item_id")).distinct()
+    picked = near.groupBy("cell").agg(F.min(F.struct("d", "item_id")).alias("m")).select(F.col("m.item_id").alias("item_id")).distinct()
+    ids = [r["item_id"] for r in picked.collect()]  # at most n
+    short = n - len(ids)
+    if short <= 0:
+        return picked
+    rest = syn.filter(~F.col("item_id").isin(ids)) if ids else syn
+    more = rest.select("item_id").orderBy(F.md5(F.concat_ws(":", F.lit(seed), "item_id")), "item_id").limit(short)
+    return picked.sparkSession.createDataFrame([(i,) for i in ids], "item_id long").union(more.select(F.col("item_id").cast("long")))
 
 
 def compress_state(items: DataFrame, importance: DataFrame, ratio: float) -> DataFrame:

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from .sources import SUITES
 
-SEEDS = [0, 1, 2, 3, 4]
+SEEDS = list(range(20))
 SIZES = [1, 2, 4, 8, 16, 32, 64]
 
 
@@ -81,13 +81,19 @@ def method_oracles() -> dict[str, str]:
             f"noisy_answers_{tag}": sql(s, f"SELECT concept_id, count(*) FILTER (WHERE yes <> flip) AS hits, count(*) FILTER (WHERE flip) AS flipped FROM (SELECT concept_id, {HOLDS} AS yes, substr(md5(concept_id || ':' || item_id), 1, 4) < '0ccc' AS flip FROM it CROSS JOIN co) GROUP BY ALL"),
             f"qerror_{tag}": sql(s, *FULL, "SELECT method, m, seed, concept_id, round(q, 9) AS q_error FROM qe"),
             f"qerror_summary_{tag}": sql(s, *FULL, "SELECT method, m, round(quantile_cont(q, 0.05), 6) AS p5, round(quantile_cont(q, 0.5), 6) AS p50, round(quantile_cont(q, 0.95), 6) AS p95, round(avg(latency), 6) AS latency_s FROM qe GROUP BY ALL"),
-            f"parity_sample_{tag}": sql(s, *FULL, "SELECT b.m AS probe, min(a.m) AS sample FROM (SELECT m, quantile_cont(q, 0.5) AS p50 FROM qe WHERE method = 'probed' GROUP BY ALL) b LEFT JOIN (SELECT m, quantile_cont(q, 0.5) AS p50 FROM qe WHERE method = 'profile' GROUP BY ALL) a ON a.p50 <= b.p50 GROUP BY ALL"),
+            f"parity_sample_{tag}": sql(s, *FULL, "pq AS (SELECT method, m, quantile_cont(q, 0.5) AS p50, quantile_cont(q, 0.95) AS p95 FROM qe GROUP BY ALL)", "SELECT b.m AS probe, min(a.m) AS sample FROM pq b LEFT JOIN pq a ON a.method = 'profile' AND a.p50 <= b.p50 AND a.p95 <= b.p95 WHERE b.method = 'probed' GROUP BY ALL"),
+            f"truth_{tag}": sql(s, f"SELECT concept_id, item_id, {HOLDS} AS yes FROM it CROSS JOIN co"),
+            f"radius_for_count_{tag}": sql(s, VEC, "SELECT concept_id, 10 AS k, count(*) AS n, coalesce(max(dist) FILTER (WHERE r = 11), 2.000001) AS radius FROM (SELECT *, row_number() OVER (PARTITION BY concept_id ORDER BY dist, item_id) AS r FROM di) GROUP BY concept_id"),
+            f"qerror_zero_truth_{tag}": sql(s, *FULL, "SELECT method, m, truth = 0 AS truth_zero, count(*) AS n, round(quantile_cont(q, 0.5), 6) AS p50 FROM qe GROUP BY ALL"),
+            f"order_ties_{tag}": sql(s, *FULL, "SELECT a.method, a.m, count(*) AS ties FROM runs a JOIN runs b ON a.method = b.method AND a.m = b.m AND a.seed = b.seed AND a.concept_id < b.concept_id AND a.estimate = b.estimate GROUP BY ALL"),
+            f"endtoend_cost_{tag}": sql(s, *CHAIN, "SELECT method, m, n_filters, seed, round(sum(n_filters * CASE method WHEN 'profile' THEN m * 1.0 WHEN 'probed' THEN 0.9 ELSE 0 END + calls), 6) AS seconds FROM cc GROUP BY ALL"),
+            f"profile_reuse_{tag}": sql(s, *CHAIN, "SELECT m, n_filters, round(avg(overhead), 6) AS mean, round(avg(overhead) - 100.0 * m, 6) AS mean_reused FROM gr WHERE method = 'profile' GROUP BY m, n_filters"),
             f"random_queries_{tag}": sql(s, QUERIES, "SELECT query_id, n_filters, concept_id, written FROM qu"),
-            f"order_filters_{tag}": sql(s, *CHAIN, "SELECT method, m, seed, query_id, concept_id, step FROM od WHERE seed = 0 AND method <> 'written'"),
+            f"order_filters_{tag}": sql(s, *CHAIN, "SELECT method, m, seed, query_id, concept_id, step FROM od WHERE method <> 'written'"),
             f"chain_calls_{tag}": sql(s, *CHAIN, "SELECT method, m, seed, query_id, n_filters, calls FROM cc"),
             f"overhead_{tag}": sql(s, *CHAIN, "SELECT method, m, n_filters, seed, round(overhead, 6) AS overhead FROM gr"),
             f"overhead_split_{tag}": sql(s, *CHAIN, "SELECT method, m, n_filters, round(avg(est_s), 6) AS est_part, round(avg(plan_s), 6) AS plan_part FROM gr GROUP BY ALL"),
-            f"overhead_ci_{tag}": sql(s, *CHAIN, "SELECT method, m, n_filters, round(mean, 6) AS mean, round(mean - 2.776 * sd / sqrt(runs), 6) AS low, round(mean + 2.776 * sd / sqrt(runs), 6) AS high FROM me WHERE runs > 1"),
+            f"overhead_ci_{tag}": sql(s, *CHAIN, "SELECT method, m, n_filters, round(mean, 6) AS mean, round(mean - 2.093 * sd / sqrt(runs), 6) AS low, round(mean + 2.093 * sd / sqrt(runs), 6) AS high FROM me WHERE runs > 1"),
             f"best_config_{tag}": sql(s, *CHAIN, "SELECT method, n_filters, m, round(mean, 6) AS mean FROM (SELECT *, row_number() OVER (PARTITION BY method, n_filters ORDER BY mean, m) AS r FROM me) WHERE r = 1"),
             f"overhead_reduction_{tag}": sql(s, *CHAIN, "SELECT n_filters, round(1 - min(mean) FILTER (WHERE method = 'probed') / min(mean) FILTER (WHERE method = 'profile'), 6) AS reduction FROM me GROUP BY ALL"),
             f"order_inversions_{tag}": sql(s, *CHAIN, "SELECT a.method, a.m, count(*) AS pairs, sum((ta.truth > tb.truth)::INT)::BIGINT AS inverted FROM od a JOIN od b ON a.method = b.method AND a.m = b.m AND a.seed = b.seed AND a.query_id = b.query_id AND a.step < b.step JOIN tr ta ON ta.concept_id = a.concept_id JOIN tr tb ON tb.concept_id = b.concept_id WHERE a.method <> 'written' GROUP BY ALL"),

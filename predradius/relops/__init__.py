@@ -61,7 +61,7 @@ STATEMENTS: dict[str, tuple[str, str, str | None]] = {
     "fn_map": ("part", "SELECT p_partkey, element_at(map_from_arrays(array('brand', 'type'), array(p_brand, p_type)), 'type') AS t FROM part", "SELECT p_partkey, p_type AS t FROM part"),
     "fn_struct": ("part", "SELECT p_partkey, s.b AS b, s.t AS t FROM (SELECT p_partkey, named_struct('b', p_brand, 't', p_type) AS s FROM part)", "SELECT p_partkey, p_brand AS b, p_type AS t FROM part"),
     "fn_url": ("pages", "SELECT page_id, parse_url(url, 'HOST') AS host FROM pages", "SELECT page_id, regexp_extract(url, '://([^/?#]+)', 1) AS host FROM pages"),
-    "html_text_filter": ("pages", "SELECT page_id, length(regexp_replace(html, '<[^>]*>', '')) AS n FROM pages WHERE html LIKE '%<table%'", "SELECT page_id, length(regexp_replace(html, '<[^>]*>', '', 'g')) AS n FROM pages WHERE html LIKE '%<table%'"),
+    "html_text_filter": ("pages", "SELECT page_id, length(regexp_replace(html, '<[^>]*>', '')) AS n FROM pages WHERE html LIKE '%<a %'", "SELECT page_id, length(regexp_replace(html, '<[^>]*>', '', 'g')) AS n FROM pages WHERE html LIKE '%<a %'"),
     "subq_scalar": ("orders", "SELECT o_orderkey FROM orders WHERE o_totalprice > (SELECT avg(o_totalprice) FROM orders)", None),
     "subq_exists": ("orders customer", "SELECT c_custkey FROM customer c WHERE EXISTS (SELECT 1 FROM orders o WHERE o.o_custkey = c.c_custkey AND o.o_totalprice > 200000)", None),
     "lateral_topk": ("customer orders", "SELECT c.c_custkey, t.o_orderkey FROM customer c, LATERAL (SELECT o_orderkey FROM orders o WHERE o.o_custkey = c.c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 1) t", None),

@@ -63,16 +63,17 @@ def topk_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def udf_pandas(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Distance to one predicate by a vectorised pandas function."""
-    own = ring(spark).first()
-    at, norm = np.array(own["cvec"], dtype=np.float64), float(own["cnorm2"])
+    """Distance of every stored vector to the first one by a vectorised pandas function."""
+    syn = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
+    own = syn.filter("vec_id = 0").first()
+    at = np.array(own["embedding"] if own else [], dtype=np.float64)
 
     @pandas_udf("double")
     def distance(vec: pd.Series) -> pd.Series:
         block = np.stack(vec.to_numpy()).astype(np.float64) if len(vec) else np.empty((0, len(at)))
-        return pd.Series(np.round(1 - (block @ at) / np.sqrt((block * block).sum(axis=1) * norm), 9))
+        return pd.Series(np.round(1 - (block @ at) / np.sqrt((block * block).sum(axis=1) * (at @ at)), 6))
 
-    return op.embed_items(items(spark, sf_dir, "w1")).select("item_id", distance(F.col("vec")).alias("dist"))
+    return syn.select("vec_id", distance("embedding").alias("dist"))
 
 
 def udf_map_in_arrow(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -186,7 +187,8 @@ def oracles() -> dict[str, str]:
         "hybrid_filter": sql("w1", VEC, "SELECT l_orderkey, l_linenumber FROM lineitem JOIN di ON item_id = l_partkey WHERE concept_id = 'ring' AND dist < 0.7 AND l_quantity < 5"),
         "join_theta_ball": f"SELECT * FROM (SELECT a.vec_id AS anchor, e.vec_id, round(1 - {UNIT.format('e.embedding', 'a.embedding')} / sqrt({UNIT.format('e.embedding', 'e.embedding')} * {UNIT.format('a.embedding', 'a.embedding')}), 6) AS dist FROM embeddings e CROSS JOIN (SELECT * FROM embeddings WHERE vec_id % 20 = 0) a) WHERE dist < 0.75",
         "topk_nearest": sql("w1", VEC, f"SELECT * FROM ({dist}) ORDER BY dist, item_id LIMIT 25"),
-        "udf_pandas": sql("w1", VEC, dist), "udf_map_in_arrow": sql("w1", VEC, dist),
+        "udf_pandas": f"SELECT e.vec_id, round(1 - {UNIT.format('e.embedding', 'a.embedding')} / sqrt({UNIT.format('e.embedding', 'e.embedding')} * {UNIT.format('a.embedding', 'a.embedding')}), 6) AS dist FROM embeddings e CROSS JOIN (SELECT * FROM embeddings WHERE vec_id = 0) a",
+        "udf_map_in_arrow": sql("w1", VEC, dist),
         "udaf_radius": sql("w1", VEC, SAMPLE, PROBED, "SELECT concept_id, radius FROM pr WHERE seed = 0 AND m = 64"),
         "apply_in_pandas": sql("w1", VEC, SAMPLE, PROBED, "SELECT concept_id, k, n, radius FROM pr WHERE seed = 0 AND m = 64"),
         "udtf_tokens": "SELECT p_partkey, (generate_subscripts(t, 1) - 1)::INT AS pos, unnest(t) AS token FROM (SELECT p_partkey, string_split(p_name, ' ') AS t FROM part)",
