@@ -3,10 +3,13 @@
 Texts are lower-cased, characters other than letters become one blank each, and n-grams of 1 to `longest` characters fall into
 2^bits buckets. Bucket counts per language are summed by the cluster from at most `training_rows` rows (chosen by a hash,
 a documented bound of the classifier); the matrix of log probabilities goes to the workers as one array of a few MB, whatever the
-input, and every text is scored whole by adding the matrix rows of its n-grams.
+input. Texts are scored whole, batch by batch: the n-grams of many texts form one sparse document-by-bucket matrix (row starts and
+bucket columns, one entry for each occurrence), which is multiplied by the log-probability matrix.
 
 Edge cases: text that is null or has no letter is `und` with score 0; rows without a language are not learned from;
-without any training row every text is `und`; long texts are scored in slices that add up.
+without any training row every text is `und`; rows that repeat an id are scored each by itself; of languages with equal scores
+the first by name is taken; a long text is spread over several matrices, whose scores add up; extra columns are ignored, whatever
+their names; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -19,7 +22,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 MULTIPLIERS = np.array([0x9E3779B1, 0x85EBCA77, 0xC2B2AE3D, 0x27D4EB2F, 0x165667B1], dtype=np.uint32)
-SLICE = 1 << 18
+#: Code points in a slice of a text, and entries in a sparse matrix, beyond which it is closed; texts read into memory at once.
+SLICE, TEXTS = 1 << 18, 256
 _LETTERS: list[np.ndarray] = []
 
 
@@ -95,25 +99,56 @@ class LanguageModel:
         weights = np.log(table + smoothing) - np.log(table.sum(axis=0, keepdims=True) + smoothing * (1 << bits))
         return cls(langs, weights.astype(np.float32), np.log(priors) - np.log(priors.sum()) if len(langs) else priors, longest, bits)
 
+    def totals(self, texts: list[np.ndarray]) -> np.ndarray:
+        """Log probability of each language (columns) for each text (rows of code points): sparse matrices of bounded size times the weights."""
+        total = np.tile(self.priors.astype(np.float64), (len(texts), 1))
+        rows: list[int] = []
+        columns: list[np.ndarray] = []
+        held = 0
+
+        def multiply() -> None:
+            starts = np.cumsum([0, *map(len, columns)][:-1])
+            np.add.at(total, rows, np.add.reduceat(self.weights[np.concatenate(columns)], starts, axis=0, dtype=np.float64))
+
+        for row, points in enumerate(texts):
+            for buckets in gram_buckets(points, self.longest, self.bits):
+                rows.append(row)
+                columns.append(buckets)
+                held += len(buckets)
+                if held >= SLICE:
+                    multiply()
+                    rows, columns, held = [], [], 0
+        if held:
+            multiply()
+        return total
+
+    def predict_batch(self, texts: list[str | None]) -> tuple[list[str], np.ndarray]:
+        """The likeliest language of each text and its probability."""
+        points = [folded(text) for text in texts]
+        known = [i for i, own in enumerate(points) if own is not None] if self.langs else []
+        langs, scores = ["und"] * len(texts), np.zeros(len(texts))
+        if known:
+            total = self.totals([points[i] for i in known])
+            best = total.argmax(axis=1)
+            scores[known] = 1 / np.exp(total - total.max(axis=1, keepdims=True)).sum(axis=1)
+            for i, j in zip(known, best.tolist(), strict=True):
+                langs[i] = self.langs[j]
+        return langs, scores
+
     def predict(self, text: str | None) -> tuple[str, float]:
-        points = folded(text)
-        if points is None or not self.langs:
-            return "und", 0.0
-        total = self.priors.copy()
-        for buckets in gram_buckets(points, self.longest, self.bits):
-            total += self.weights[buckets].sum(axis=0, dtype=np.float64)
-        best = int(total.argmax())
-        return self.langs[best], float(1 / np.exp(total - total[best]).sum())
+        langs, scores = self.predict_batch([text])
+        return langs[0], float(scores[0])
 
     def transform(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
         """doc_id, lang_pred, score."""
         model = docs.sparkSession.sparkContext.broadcast(self)
 
         def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            predict = model.value.predict
             for batch in batches:
-                found = [predict(text.as_py()) for text in batch.column(1)]
-                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([x[0] for x in found], pa.string()), pa.array([x[1] for x in found], pa.float64())], ["doc_id", "lang_pred", "score"])
+                for at in range(0, batch.num_rows, TEXTS):
+                    part = batch.slice(at, TEXTS)
+                    langs, scores = model.value.predict_batch(part.column(1).to_pylist())
+                    yield pa.RecordBatch.from_arrays([part.column(0), pa.array(langs, pa.string()), pa.array(scores)], ["doc_id", "lang_pred", "score"])
 
         return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(score, "doc_id long, lang_pred string, score double")
 
