@@ -1,8 +1,9 @@
 """Reply trees to training conversations.
 
-Messages point at the message they answer. Self-joins that double their reach each round (every message knows the path
-to an ancestor twice as far) enumerate the root-to-leaf paths of all trees at once, on identifiers only; branches of a
-tree are ranked by score, and each chosen path is formatted as one conversation with the texts joined in at the end.
+Messages point at the message they answer. Self-joins that double their reach each round (every message knows an ancestor
+twice as far, its depth and the sum of scores on the way) reach the roots of all trees at once; branches of a tree are ranked by score.
+Self-joins with ever narrower jumps then enumerate the root-to-leaf paths that were chosen, one row for each message of a path, and
+each path is formatted as one conversation with the texts joined in at the end. Up to there no row grows with the length of a path.
 
 Template: every turn is `<|turn|>role\\n`, the text, `<|end|>`. Inside roles and texts, strings that could be read as
 control strings (`<|`, `<s>`, `</s>`, `[INST]`, `[/INST]`, `<SYS>`, `</SYS>`) get a backslash after their first
@@ -11,7 +12,8 @@ doubled and line breaks written as a backslash and an n.
 
 Edge cases: null texts and roles count as empty; messages of a null conversation form one conversation under a null id;
 a parent that does not exist makes its child a root; rows equal in all columns stay separate turns; messages on a cycle
-have no root and are left out; an empty table gives no conversations; long texts are whole.
+or below one have no root and are left out; branches of equal score and length go by their leaf; extra columns are ignored, whatever
+their names; an empty table gives no conversations; long texts are whole.
 """
 
 from __future__ import annotations
@@ -56,35 +58,75 @@ def linear_trees(turns: DataFrame) -> DataFrame:
     return nodes.select("conv_id", "node", F.when(F.col("node") > 1, F.col("node") - 1).alias("parent"), "role", "text", F.lit(0.0).alias("score"))
 
 
+class Trees:
+    """Reply trees climbed by doubling: table i knows each message's ancestor 2^i steps up, and the last one its depth and the score of its path.
+
+    Nothing but identifiers and sums is stored, a row for each message and table, whatever the length of a path.
+    """
+
+    def __init__(self, nodes: DataFrame):
+        links = nodes.select("conv_id", "node", "parent", "score")
+        known = links.select(F.col("conv_id").alias("c"), F.col("node").alias("n")).distinct().withColumn("known", F.lit(True))
+        inner = links.filter("parent is not null").select(F.col("conv_id").alias("c"), F.col("parent").alias("n")).distinct().withColumn("inner", F.lit(True))
+        a = links.join(known, same_node("conv_id", "parent"), "left").drop("c", "n").join(inner, same_node("conv_id", "node"), "left").drop("c", "n")
+        state = shared_table(a.select("conv_id", "node", F.when(F.col("known"), F.col("parent")).alias("up"), F.lit(1).cast("long").alias("depth"), F.col("score").alias("total"), F.col("inner").isNull().alias("leaf")))
+        #: jumps[i]: conv_id, node, up of the messages that have an ancestor 2^i steps up.
+        self.jumps = [state.filter("up is not null").select("conv_id", "node", "up")]
+        # A message that has not reached a root after as many steps as there are messages is on a cycle or below one.
+        most = state.count()
+        while 1 << (len(self.jumps) - 1) <= most and state.filter("leaf and up is not null").limit(1).count():
+            b = state.select(F.col("conv_id").alias("c"), F.col("node").alias("n"), F.col("up").alias("beyond"), F.col("depth").alias("depth2"), F.col("total").alias("total2"))
+            both = state.join(b, same_node("conv_id", "up"), "left")
+            add = lambda x: (F.col(x) + F.coalesce(f"{x}2", F.lit(0).cast("long" if x == "depth" else "double"))).alias(x)
+            state = shared_table(both.select("conv_id", "node", F.col("beyond").alias("up"), add("depth"), add("total"), "leaf"))
+            self.jumps.append(state.filter("up is not null").select("conv_id", "node", "up"))
+        self.state = state
+
+    def leaves(self) -> DataFrame:
+        """conv_id, leaf, length of the path from the root, score (mean over the path)."""
+        return self.state.filter("leaf and up is null").select("conv_id", F.col("node").alias("leaf"), F.col("depth").alias("length"), (F.col("total") / F.col("depth")).alias("score"))
+
+    def steps(self, leaves: DataFrame) -> DataFrame:
+        """leaves with a row for each message (node) of their paths and its place i, from 0 at the root.
+
+        From the widest jumps to the narrowest, each round adds the message halfway between those known, so rows double up to the length of the paths.
+        """
+        found = leaves.withColumn("node", F.col("leaf")).withColumn("i", F.col("length") - 1)
+        for k in reversed(range(len(self.jumps) - 1)):
+            jump = self.jumps[k].select(F.col("conv_id").alias("c"), F.col("node").alias("n"), "up")
+            above = found.join(jump, same_node("conv_id", "node")).select(*leaves.columns, F.col("up").alias("node"), (F.col("i") - (1 << k)).alias("i"))
+            found = shared_table(found.unionByName(above))
+        return found
+
+
+def same_node(conv: str, node: str) -> Column:
+    return F.col(conv).eqNullSafe(F.col("c")) & (F.col(node) == F.col("n"))
+
+
 def root_to_leaf_paths(nodes: DataFrame) -> DataFrame:
-    """conv_id, leaf, path (node ids from the root to the leaf), score (mean over the path)."""
-    links = nodes.select("conv_id", "node", "parent", "score")
-    known = links.select(F.col("conv_id").alias("c"), F.col("node").alias("n")).distinct().withColumn("known", F.lit(True))
-    inner = links.filter("parent is not null").select(F.col("conv_id").alias("c"), F.col("parent").alias("n")).distinct().withColumn("inner", F.lit(True))
-    a = links.join(known, F.col("conv_id").eqNullSafe(F.col("c")) & (F.col("parent") == F.col("n")), "left").drop("c", "n")
-    a = a.join(inner, F.col("conv_id").eqNullSafe(F.col("c")) & (F.col("node") == F.col("n")), "left").drop("c", "n")
-    state = shared_table(a.select(
-        "conv_id", "node", F.when(F.col("known"), F.col("parent")).alias("up"), F.array("node").alias("path"), F.col("score").alias("total"), F.col("inner").isNull().alias("leaf")))
-    rounds = 0
-    while state.filter("leaf and up is not null").limit(1).count() and rounds < 40:
-        b = state.select(F.col("conv_id").alias("c"), F.col("node").alias("n"), F.col("up").alias("up2"), F.col("path").alias("path2"), F.col("total").alias("total2"))
-        both = state.join(b, F.col("conv_id").eqNullSafe(F.col("c")) & (F.col("up") == F.col("n")), "left")
-        state = shared_table(both.select("conv_id", "node", F.col("up2").alias("up"), F.concat(F.coalesce("path2", F.array().cast("array<bigint>")), "path").alias("path"), (F.col("total") + F.coalesce("total2", F.lit(0.0))).alias("total"), "leaf"))
-        rounds += 1
-    return state.filter("leaf and up is null").select("conv_id", F.col("node").alias("leaf"), "path", (F.col("total") / F.size("path")).alias("score"))
+    """conv_id, leaf, path (node ids from the root to the leaf), length, score (mean over the path) of every leaf."""
+    trees = Trees(nodes)
+    steps = trees.steps(trees.leaves())
+    path = F.transform(F.sort_array(F.collect_list(F.struct("i", "node"))), lambda s: s["node"])
+    return steps.groupBy("conv_id", "leaf", "length", "score").agg(path.alias("path"))
 
 
 def rank_branches(paths: DataFrame, best: int | None = 1) -> DataFrame:
-    """The `best` branches of each tree by score, longer paths and then smaller leaves first; None keeps all."""
-    order = Window.partitionBy("conv_id").orderBy(F.desc("score"), F.desc(F.size("path")), "leaf")
+    """The `best` branches (leaves, or whole paths) of each tree by score, longer paths and then smaller leaves first; None keeps all."""
+    order = Window.partitionBy("conv_id").orderBy(F.desc("score"), F.desc("length"), "leaf")
     ranked = paths.withColumn("branch", F.row_number().over(order))
     return ranked if best is None else ranked.filter(F.col("branch") <= best)
 
 
 def format_paths(nodes: DataFrame, paths: DataFrame, learn: str = "assistant") -> DataFrame:
     """conv_id, branch, n_turns, formatted, loss_spans: code point ranges [from, to) of the texts to learn."""
-    steps = paths.select(F.col("conv_id").alias("c"), "branch", F.posexplode("path").alias("i", "n"))
-    own = nodes.join(steps, F.col("conv_id").eqNullSafe(F.col("c")) & (F.col("node") == F.col("n")))
+    return format_steps(nodes, paths.select("conv_id", "branch", F.posexplode("path").alias("i", "node")), learn)
+
+
+def format_steps(nodes: DataFrame, steps: DataFrame, learn: str = "assistant") -> DataFrame:
+    """The same from one row (conv_id, branch, i, node) for each message of a path."""
+    steps = steps.select(F.col("conv_id").alias("c"), "branch", "i", F.col("node").alias("n"))
+    own = nodes.select("conv_id", "node", "role", "text").join(steps, same_node("conv_id", "node"))
     turns = own.select("conv_id", "branch", "i", F.concat(F.lit(TURN), escape_role(F.col("role")), F.lit("\n")).alias("head"), escape("text").alias("body"), (F.col("role") == learn).alias("learned"))
     whole = turns.groupBy("conv_id", "branch").agg(F.sort_array(F.collect_list(F.struct("i", "head", "body", "learned"))).alias("t"))
     start = F.struct(F.lit(0).cast("int").alias("at"), F.array().cast("array<struct<from:int,to:int>>").alias("spans"))
@@ -129,4 +171,5 @@ def read_back(conversations: DataFrame) -> DataFrame:
 
 def format_conversations(turns: DataFrame, best: int = 1, learn: str = "assistant") -> DataFrame:
     nodes = shared_table(linear_trees(turns))
-    return format_paths(nodes, rank_branches(root_to_leaf_paths(nodes), best), learn)
+    trees = Trees(nodes)
+    return format_steps(nodes, trees.steps(rank_branches(trees.leaves(), best)), learn)

@@ -214,6 +214,42 @@ def test_chat_trees(spark, none):
     assert chat.format_conversations(spark.createDataFrame([], "conv_id long, turn long, role string, text string")).count() == 0
 
 
+def test_paths_of_random_trees(spark):
+    draw = np.random.default_rng(3)
+    nodes = []
+    for conv in range(12):
+        for n in range(1, 60):
+            up = None if n == 1 else int(draw.integers(max(1, n - 1 - 4 * (conv % 3)), n))
+            nodes.append((conv, n, up, "user", f"t{n}", float(draw.integers(0, 9)), "x", 1))
+    nodes += [(99, 1, 2, "user", "", 0.0, "x", 1), (99, 2, 1, "user", "", 0.0, "x", 1), (99, 3, 2, "user", "", 0.0, "x", 1)]  # a cycle and a leaf below it
+    up, score = {(c, n): p for c, n, p, *_ in nodes}, {(c, n): s for c, n, _, _, _, s, *_ in nodes}
+    inner, want = {(c, p) for (c, _), p in up.items()}, {}
+    for c, n in up:
+        if c != 99 and (c, n) not in inner:
+            path = [n]
+            while up[c, path[0]] is not None:
+                path.insert(0, up[c, path[0]])
+            want[c, n] = (path, sum(score[c, x] for x in path) / len(path))
+    df = spark.createDataFrame(nodes, "conv_id long, node long, parent long, role string, text string, score double, leaf string, i int")
+    paths = chat.root_to_leaf_paths(df)
+    assert {(r["conv_id"], r["leaf"]): (r["path"], r["score"]) for r in paths.collect()} == want
+    best = {}
+    for (c, n), (path, mean) in want.items():
+        best[c] = min(best.get(c, ((1, 0, 0), None)), ((-mean, -len(path), n), path))
+    made = chat.format_paths(df, chat.rank_branches(paths)).collect()
+    assert {r["conv_id"]: [t for _, t in chat.parse_formatted(r["formatted"])] for r in made} == {c: [f"t{n}" for n in path] for c, (_, path) in best.items()}
+
+
+def test_long_conversation(spark):
+    turns = spark.range(20_000).selectExpr("7L AS conv_id", "id AS turn", "if(id % 2 = 0, 'user', 'assistant') AS role", "concat('w', id) AS text", "id AS node", "'x' AS branch")
+    trees = chat.Trees(chat.linear_trees(turns))
+    steps = trees.steps(trees.leaves())
+    assert steps.count() == 20_000 and len(trees.jumps) <= 17 and trees.state.count() == 20_000
+    got = chat.read_back(chat.format_conversations(turns)).first()
+    want = "".join(f"{('user', 'assistant')[i % 2]}\nw{i}\n" for i in range(20_000))
+    assert got["n_turns"] == 20_000 and got["turns_sha256"] == hashlib.sha256(want.encode()).hexdigest()
+
+
 def test_roles_with_line_breaks(spark):
     made = [(1, 0, "us\ner", "a"), (1, 1, "assist\\nant", "b"), (1, 2, "</s>\\", "c\n")]
     got = chat.format_conversations(spark.createDataFrame(made, "conv_id long, turn long, role string, text string")).first()
@@ -236,6 +272,24 @@ def test_language_id(spark, odd, none):
     assert language_id.LanguageModel.fit(none.select("doc_id", "text", "lang")).predict("abc") == ("und", 0.0)
 
 
+def test_language_matrix_equals_text_by_text(monkeypatch, spark):
+    """Sparse matrices of few entries, so that texts are spread over several, against one sum for each text."""
+    monkeypatch.setattr(language_id, "SLICE", 50)
+    draw = np.random.default_rng(5)
+    model = language_id.LanguageModel(["a", "b", "c"], draw.normal(size=(1 << 10, 3)).astype(np.float32), np.log([0.2, 0.3, 0.5]), 4, 10)
+    texts = ["", None, "12 !", "x", "Ünï cödé", "the cat sat on the mat " * 9, "x", "a" * 333]
+    langs, scores = model.predict_batch(texts)
+    for text, lang, score in zip(texts, langs, scores, strict=True):
+        points = language_id.folded(text)
+        if points is None:
+            assert (lang, score) == ("und", 0.0)
+            continue
+        total = model.priors + sum(model.weights[b].astype(float).sum(axis=0) for b in language_id.gram_buckets(points, 4, 10))
+        assert lang == model.langs[int(total.argmax())] and np.isclose(score, 1 / np.exp(total - total.max()).sum())
+    clash = spark.createDataFrame([(1, "abc", "q", 0.5), (1, "abc", "q", 0.5)], "doc_id long, text string, lang_pred string, score double")
+    assert model.transform(clash).count() == 2 and model.transform(clash.limit(0)).count() == 0
+
+
 def test_toxicity(spark, none):
     d = "/root/testdata/sf0.1"
     got = queries.op4_toxicity(spark, d).join(spark.read.parquet(f"{d}/labels.parquet"), "doc_id").filter("held_out").toPandas()
