@@ -79,8 +79,7 @@ class Suite:
         """method, m, n_filters, seed, est_s, plan_s, overhead: summed over the queries of a group, against the perfect estimator."""
         calls = self.calls()
         perfect = calls.filter("method = 'perfect'").select("query_id", F.col("calls").alias("least"))
-        each = F.when(F.col("method") == "profile", F.col("m") * COST.call_s).when(F.col("method") == "probed", COST.batch_s).otherwise(0.0)
-        cost = calls.join(F.broadcast(perfect), "query_id").select("method", "m", "n_filters", "seed", (F.col("n_filters") * each).alias("est_s"), ((F.col("calls") - F.col("least")) * COST.call_s).alias("plan_s"))
+        cost = calls.join(F.broadcast(perfect), "query_id").select("method", "m", "n_filters", "seed", (F.col("n_filters") * COST.estimation()).alias("est_s"), ((F.col("calls") - F.col("least")) * COST.call_s).alias("plan_s"))
         return cost.groupBy("method", "m", "n_filters", "seed").agg(F.sum("est_s").alias("est_s"), F.sum("plan_s").alias("plan_s"), F.sum(F.col("est_s") + F.col("plan_s")).alias("overhead"))
 
     def means(self) -> DataFrame:
@@ -150,8 +149,7 @@ def order_ties(s: Suite) -> DataFrame:
 
 def endtoend(s: Suite) -> DataFrame:
     """Seconds of estimation and execution, summed over the queries of a group."""
-    each = F.when(F.col("method") == "profile", F.col("m") * COST.call_s).when(F.col("method") == "probed", COST.batch_s).otherwise(0.0)
-    return s.calls().groupBy("method", "m", "n_filters", "seed").agg(r6(F.sum(F.col("n_filters") * each + F.col("calls") * COST.call_s)).alias("seconds"))
+    return s.calls().groupBy("method", "m", "n_filters", "seed").agg(r6(F.sum(F.col("n_filters") * COST.estimation() + F.col("calls") * COST.call_s)).alias("seconds"))
 
 
 def profile_reuse(s: Suite) -> DataFrame:

@@ -11,7 +11,7 @@ from dataclasses import dataclass, field
 from itertools import permutations
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 
@@ -25,6 +25,12 @@ class CostModel:
     state_bytes: int = 300_000_000
     vector_bytes: int = 4608
 
+    def estimation(self) -> Column:
+        """Seconds of one estimate by the columns method and m; a blended radius takes a probe and a prediction."""
+        method = F.col("method")
+        cost = F.when(method == "profile", F.col("m") * self.call_s).when(method.isin("probed", "compressed"), F.lit(self.batch_s))
+        return cost.when(method == "learned", F.lit(self.learned_s)).when(method.isin("blended", "blended_compressed"), F.lit(self.batch_s + self.learned_s)).otherwise(F.lit(0.0))
+
 
 def random_queries(spark: SparkSession, concepts: DataFrame, per_size: int = 100, sizes: tuple[int, ...] = (2, 3, 4)) -> DataFrame:
     """query_id, n_filters, concept_id, pos: distinct filters per query, drawn by hash."""

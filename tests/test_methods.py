@@ -15,7 +15,7 @@ from predradius.sources import SUITES
 
 COMPARED = ["embed_part", "true_selectivity_part", "true_selectivity_geo", "fixed_radius_part", "probed_radius_geo", "probed_radius_zero_part", "estimate_probed_part", "qerror_summary_part", "overhead_ci_geo", "overhead_reduction_part",
             "ball_count_vectors", "probe_configs_memory", "hist_equiwidth", "join_asof", "agg_cube", "win_range_frame", "pivot_report", "lateral_topk", "stream_session", "stream_tumbling",
-            "radius_rules", "cell_synopsis_hard", "order_by_rank", "probe_residency", "prompt_render", "latency_model"]
+            "linear_radius_geo", "qerror_summary_all_geo", "overhead_reduction_all_part", "domain_shift_geo", "radius_rules", "cell_synopsis_hard", "order_by_rank", "probe_residency", "prompt_render", "latency_model"]
 
 
 def rows(df):
