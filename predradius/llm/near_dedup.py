@@ -323,6 +323,20 @@ def components(links: DataFrame) -> DataFrame:
             return labels
 
 
+def merged(groups: DataFrame, links: DataFrame) -> DataFrame:
+    """The components `groups` (node, component) after more links (a, b): only the links between components go through the rounds."""
+    end = lambda c: groups.select(F.col("node").alias(c), F.col("component").alias(f"of_{c}"))
+    placed_ends = links.select("a", "b").join(end("a"), "a", "left").join(end("b"), "b", "left")
+    between = shared_table(placed_ends.select("a", "b", F.coalesce("of_a", "a").alias("of_a"), F.coalesce("of_b", "b").alias("of_b")).filter("of_a != of_b"))
+    if not some(between):
+        return groups
+    over = components(between.select(F.col("of_a").alias("a"), F.col("of_b").alias("b"))).select(F.col("node").alias("component"), F.col("component").alias("top"))
+    # A node that had no link before is a component of its own.
+    own = between.select(F.explode(F.array(F.struct(F.col("a").alias("node"), F.col("of_a").alias("component")), F.struct(F.col("b").alias("node"), F.col("of_b").alias("component")))).alias("r"))
+    new = own.select("r.*").filter("node = component").distinct().join(groups.select("node"), "node", "left_anti")
+    return shared_table(groups.unionByName(new).join(over, "component", "left").select("node", F.coalesce("top", "component").alias("component")))
+
+
 def stars(members: DataFrame) -> DataFrame:
     """a, b: every member of a bucket with the bucket's smallest member."""
     pivots = members.groupBy("bucket").agg(F.min("node").alias("a"), F.count(F.lit(1)).alias("n")).filter("n > 1").drop("n")
@@ -351,7 +365,7 @@ def some(df: DataFrame) -> bool:
 
 
 class Linker:
-    """What the rounds of one run share: sketches of the classes, sets fetched so far, pairs looked at, links."""
+    """What the rounds of one run share: sketches of the classes, sets fetched so far, pairs looked at, links that are not in components yet."""
 
     def __init__(self, docs: DataFrame, reps: DataFrame, percent: int, width: int, margin: float, id_col: str, text_col: str):
         self.docs, self.reps, self.percent, self.width, self.margin, self.id_col, self.text_col = docs, reps, percent, width, margin, id_col, text_col
@@ -382,6 +396,11 @@ class Linker:
         self.looked_at = seen if self.looked_at is None else self.looked_at.union(seen)
         self.links = links if self.links is None else self.links.union(links)
 
+    def new_links(self) -> DataFrame:
+        """The links (a, b) found since the last call."""
+        links, self.links = self.links, None
+        return links
+
     def refine(self, loose: DataFrame) -> DataFrame | None:
         """bucket, node: finer buckets for the members (bucket, node, component) of buckets that hold several components.
 
@@ -425,20 +444,19 @@ def near_duplicate_groups(docs: DataFrame, percent: int = 85, width: int = 5, ba
     ids = found.filter("node is not null and doc_id is not null").select("doc_id", "node")
     several = ids.groupBy("doc_id").agg(F.min("node").alias("a"), F.max("node").alias("z")).filter("a != z").drop("z")
     same_id = shared_table(ids.join(several, "doc_id").filter("a != node").select("a", F.col("node").alias("b")).distinct())
-    groups = components(linker.links.union(same_id))
+    groups = components(linker.new_links().union(same_id))
     # 4. Pairs across components among the members of buckets that hold several components still.
     crowd = placed(large, groups)
     loose = shared_table(unsettled(small, groups).unionByName(crowd.join(mixed_buckets(crowd), "bucket")))
-    if some(loose) and (finer := linker.refine(loose)) is not None:
-        linker.confirm(stars(finer))
-        groups = components(linker.links.union(same_id))
-        here = shared_table(unsettled(finer, groups))
-        if some(here):
+    if some(loose):
+        finer = linker.refine(loose)
+        if finer is not None:
+            linker.confirm(stars(finer))
+        groups = merged(groups, linker.new_links())
+        if finer is not None and some(here := shared_table(unsettled(finer, groups))):
             x, y = (here.select("bucket", F.col("node").alias(n), F.col("component").alias(f"{n}_component")) for n in "ab")
             linker.confirm(x.join(y, "bucket").filter("a < b and a_component != b_component").select("a", "b"))
-            groups = components(linker.links.union(same_id))
-    elif some(loose):
-        groups = components(linker.links.union(same_id))
+            groups = merged(groups, linker.new_links())
     # Back to all documents: through their class to their component, which is named by its smallest id.
     named = reps.select("node", "doc_id").join(groups, "node", "left").withColumn("component", F.coalesce("component", "node"))
     smallest = named.groupBy("component").agg(F.min("doc_id").alias("component_id"))
