@@ -305,22 +305,39 @@ def linked(percent: int):
     return F.col("common") * 100 >= (F.col("n_a") + F.col("n_b") - F.col("common")) * percent
 
 
+def lowest(links: DataFrame, times: int) -> DataFrame:
+    """node, component: every node points to its smallest neighbour, if that is smaller, and goes 4^times pointers down."""
+    ends = links.select("a", "b").union(links.select(F.col("b").alias("a"), F.col("a").alias("b")))
+    up = shared_table(ends.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("node"), F.least("a", "m").alias("component")))
+    for _ in range(times):
+        far = up.withColumnRenamed("component", "up_1")
+        for k in (1, 2, 3):
+            far = far.join(up.select(F.col("node").alias(f"up_{k}"), F.col("component").alias(f"up_{k + 1}")), f"up_{k}")
+        up = shared_table(far.select("node", F.col("up_4").alias("component")))
+    return up
+
+
 def components(links: DataFrame) -> DataFrame:
     """node, component (the smallest node reachable) of every node that has a link. Links: a, b.
 
-    Each round takes the smallest label of a node's neighbours and then the label of that label, until nothing changes.
+    Each round contracts: nodes become the node that their pointers lead to, and only links between different ones go on, so that most
+    links are read by one round. Pointers are followed farther from the third round on, which settles long chains too.
     """
-    both = shared_table(links.select("a", "b").union(links.select("b", "a")).distinct())
-    labels = shared_table(both.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("node"), F.least("a", "m").alias("component")))
+    links = shared_table(links.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
+    found, rounds = None, 0
     while True:
-        near = both.join(labels, both["b"] == labels["node"]).groupBy("a").agg(F.min("component").alias("m"))
-        step = labels.join(near, labels["node"] == near["a"], "left").select("node", F.least("component", "m").alias("next"), F.col("component").alias("was"))
-        jump = labels.select(F.col("node").alias("next"), F.col("component").alias("beyond"))
-        new = shared_table(step.join(jump, "next", "left").select("node", F.least("next", "beyond").alias("component"), "was"))
-        changed = new.filter("component != was").limit(1).count()
-        labels = new.select("node", "component")
-        if not changed:
-            return labels
+        rounds += 1
+        ends = lowest(links, max(1, rounds - 1))
+        if found is None:
+            found = ends
+        else:
+            over = ends.select(F.col("node").alias("component"), F.col("component").alias("top"))
+            found = shared_table(found.join(over, "component", "left").select("node", F.coalesce("top", "component").alias("component")))
+        end = lambda c: ends.select(F.col("node").alias(c), F.col("component").alias(f"of_{c}"))  # noqa: B023, E731
+        between = links.join(end("a"), "a").join(end("b"), "b").filter("of_a != of_b")
+        links = shared_table(between.select(F.least("of_a", "of_b").alias("a"), F.greatest("of_a", "of_b").alias("b")).distinct())
+        if not some(links):
+            return found
 
 
 def merged(groups: DataFrame, links: DataFrame) -> DataFrame:
